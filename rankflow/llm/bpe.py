@@ -19,7 +19,7 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame
 
-from rankflow.llm.common import require
+from rankflow.llm.common import require, with_fields
 
 #: Entries of each memory that a worker keeps; a full one is emptied.
 MEMORY = 400_000
@@ -128,7 +128,7 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, text_col: str = "
     require(docs, [text_col])
     docs = docs.drop("token_ids", "n_tokens", "decoded")
     ranks = load_ranks(path)
-    schema = docs.schema.add("token_ids", "binary").add("n_tokens", "bigint")
+    schema = with_fields(docs.schema).add("token_ids", "binary").add("n_tokens", "bigint")
     if decode:
         schema = schema.add("decoded", "binary")
 
@@ -157,7 +157,7 @@ def decode_documents(encoded: DataFrame, path: str, ids_col: str = "token_ids")
     """``encoded`` with ``decoded``: the bytes that its token ids stand for; null ids decode as empty."""
     require(encoded, [ids_col])
     encoded = encoded.drop("decoded")
-    ranks, schema = load_ranks(path), encoded.schema.add("decoded", "binary")
+    ranks, schema = load_ranks(path), with_fields(encoded.schema).add("decoded", "binary")
 
     def back(batches: Iterator) -> Iterator:
         import pyarrow as pa

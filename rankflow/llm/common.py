@@ -9,6 +9,7 @@ from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: White space of the contracts: blank, tab, newline, vertical tab, form feed, return.
 WS = " \t\n\x0b\x0c\r"
@@ -49,6 +50,11 @@ def require(df: DataFrame, columns: Iterable[str]) -> None:
         raise ValueError(f"missing columns: {', '.join(missing)}")
 
 
+def with_fields(schema: StructType) -> StructType:
+    """A copy to add fields to; ``df.schema`` itself is kept by ``df``."""
+    return StructType([*schema.fields])
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

@@ -13,7 +13,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import require
+from rankflow.llm.common import require, with_fields
 
 DIMENSIONS = 1024
 GRAM = 3
@@ -139,7 +139,7 @@ def identify(docs: DataFrame, profiles: dict[str, list[int]], text_col: str = "t
     """
     require(docs, [text_col])
     docs = docs.drop("lang_pred", "score")
-    schema = docs.schema.add("lang_pred", "string").add("score", "double")
+    schema = with_fields(docs.schema).add("lang_pred", "string").add("score", "double")
     names = sorted(profiles)
     sums = [profiles[n] for n in names]
 

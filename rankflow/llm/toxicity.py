@@ -18,7 +18,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import require
+from rankflow.llm.common import require, with_fields
 
 #: Letters that look like Latin ones, and signs and digits that stand for letters.
 HOMOGLYPHS = dict(zip("аеорсухіјѕԁһӏьαορυιντкмтвнғ", "aeopcyxijsdhlbaopuivtkmtbhf", strict=True))
@@ -155,7 +155,7 @@ def score_documents(docs: DataFrame, lexicon: Lexicon, text_col: str = "text") -
     """
     require(docs, [text_col])
     docs = docs.drop("score")
-    schema = docs.schema.add("score", "double")
+    schema = with_fields(docs.schema).add("score", "double")
 
     def rate(batches: Iterator) -> Iterator:
         import pyarrow as pa
