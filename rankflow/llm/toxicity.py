@@ -9,6 +9,7 @@ Terms, phrases, weights and curve are learned from labelled texts.
 
 from __future__ import annotations
 
+import heapq
 import math
 import re
 from collections import Counter
@@ -24,9 +25,11 @@ from rankflow.llm.common import require, with_fields
 HOMOGLYPHS = dict(zip("аеорсухіјѕԁһӏьαορυιντкмтвнғ", "aeopcyxijsdhlbaopuivtkmtbhf", strict=True))
 SUBSTITUTES = dict(zip("0134578@$!|", "oieastbasil", strict=True))
 #: Labelled texts learned from, of each label at most.
-SAMPLE_PER_LABEL = 3000
+SAMPLE_PER_LABEL = 2000
 MAX_TERMS = 2000
 SHORTEST, LONGEST = 4, 14
+#: A term occurs in so many texts labelled 1, with such a log-odds weight, and such a weight of texts that others leave, or more.
+LEAST_TEXTS, LEAST_WEIGHT, LEAST_GAIN = 3, 1.5, 12.0
 THRESHOLD = 0.3
 
 _FOLD = str.maketrans(HOMOGLYPHS)
@@ -96,12 +99,13 @@ def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Le
     """A lexicon from texts and labels.
 
     Terms are word openings found in texts labelled 1 far more often than in
-    others; one is left out if a shorter one says as much.  A word after or
-    before a term that makes a phrase found in harmless texts only makes an exception.
+    others.  They are chosen so that each adds to what the others find, which keeps
+    out words that merely stand beside them.  A phrase of a term and its neighbour
+    that is found in harmless texts only is an exception.  Repeated rows count once.
     """
     import numpy as np
 
-    rows = [(fold(t or ""), int(y)) for t, y in rows]
+    rows = sorted({(fold(t or ""), int(y)) for t, y in rows})
     n = Counter(y for _, y in rows)
     if not n[0] or not n[1]:
         return Lexicon(exceptions=exceptions)
@@ -111,13 +115,29 @@ def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Le
     for w, y in texts:
         words[y].update({p for x in set(w) for p in {x, *(x[:k] for k in range(SHORTEST, min(len(x), LONGEST)))}})
     weight = lambda t: math.log((words[1][t] + 0.5) / (n[1] + 1)) - math.log((words[0][t] + 0.5) / (n[0] + 1))
-    least = max(3, n[1] // 400)
-    rated = sorted(((t, weight(t)) for t, k in words[1].items() if k >= least and len(t) >= SHORTEST), key=lambda x: (len(x[0]), x[0]))
+    usual = {t: w for t, k in words[1].items() if k >= LEAST_TEXTS and len(t) >= SHORTEST and (w := weight(t)) >= LEAST_WEIGHT}
+    found: dict[str, list[int]] = {t: [] for t in usual}
+    for i, (w, y) in enumerate(texts):
+        if y:
+            for t in {x[:k] for x in set(w) for k in range(SHORTEST, len(x) + 1)} & usual.keys():
+                found[t].append(i)
+    # Terms are taken one by one; a text counts half as much each time that a term of it is taken.
+    counts = np.ones(len(texts))
+    at = {t: np.array(i) for t, i in found.items()}
+    gain = lambda t: usual[t] * float(counts[at[t]].sum())
+    queue = [(-gain(t), -len(t), t) for t in usual]
+    heapq.heapify(queue)
     terms: dict[str, float] = {}
-    for t, w in rated:
-        if w >= 2.5 and not any(terms.get(t[:k], -9) >= w - 0.7 for k in range(SHORTEST, len(t))):
-            terms[t] = w
-    terms = dict(sorted(terms.items(), key=lambda x: (-x[1] * math.log1p(words[1][x[0]]), x[0]))[:MAX_TERMS])
+    while queue and len(terms) < MAX_TERMS:
+        _, size, t = heapq.heappop(queue)
+        now = gain(t)
+        if now < LEAST_GAIN or any(terms.get(t[:k], 0) >= usual[t] - 0.1 for k in range(SHORTEST, len(t))):
+            continue
+        if queue and now < -queue[0][0]:
+            heapq.heappush(queue, (-now, size, t))
+            continue
+        terms[t] = usual[t]
+        counts[at[t]] /= 2
     opens = lambda x: any(x[:k] in terms for k in range(SHORTEST, len(x) + 1))
     for w, y in texts:
         pairs[y].update({f"{a} {b}" for a, b in zip(w, w[1:], strict=False) if opens(a) or opens(b)})
