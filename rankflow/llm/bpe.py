@@ -128,7 +128,7 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, text_col: str = "
     require(docs, [text_col])
     docs = docs.drop("token_ids", "n_tokens", "decoded")
     ranks = load_ranks(path)
-    schema = with_fields(docs.schema).add("token_ids", "binary").add("n_tokens", "bigint")
+    schema = with_fields(docs.schema).add("token_ids", "binary").add("n_tokens", "long")
     if decode:
         schema = schema.add("decoded", "binary")
 
