@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rankflow.llm import bpe, fingerprint, language, line_dedup, mixing, pii, quality, secrets, toxicity
+from rankflow.llm import bpe, fingerprint, language, line_dedup, mixing, ngram_join, pii, quality, secrets, toxicity
 from rankflow.llm.common import documents
 
 #: A deployment passes its own; this one makes the query's result repeatable.
@@ -86,8 +86,13 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_tokens", F.sha2("token_ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Number of shingles and component of near copies of each document."""
+    return ngram_join.linked_components(documents(spark, sf_dir).select("doc_id", "text"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_pii, op2_quality, op3_line_dedup, op4_mixing, op5_secrets, op6_toxicity, op7_fingerprint, op8_language, op9_bpe)}
+    return {f.__name__: f for f in (op1_pii, op2_quality, op3_line_dedup, op4_mixing, op5_secrets, op6_toxicity, op7_fingerprint, op8_language, op9_bpe, op10_ngram_join)}
 
 
 def oracle_sql() -> dict[str, str]:
