@@ -17,6 +17,9 @@ entries of the matrix times its transpose.  The product is never formed:
   holds rows of different components, all pairs of blocks of its rows, but for
   pairs of one component.
 
+* a pair that remains is discarded when histograms of its rows' hashes, bucket by
+  bucket, add up to less than that overlap.
+
 What remains has its overlap counted in full.  So no link between different
 components is lost, whatever the order, and no step expands a group into pairs
 that are known to be connected.
@@ -24,37 +27,55 @@ that are known to be connected.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import UPPER, WS, discard, require, written
+from rankflow.llm.common import WS, discard, require, written
 
 SHINGLE = 3
 #: 100 * overlap >= 90 * union.
 THRESHOLD = (90, 100)
 #: Documents from which frequent shingles are learned; only the order of shingles depends on them, never a result.
-SAMPLE = 8192
+SAMPLE = 24_000
 #: Frequent shingles that go last, at most; sent to the workers.
-FREQUENT = 50_000
+FREQUENT = 100_000
 #: Rows in a block of a column.
 BLOCK = 512
+#: Texts that a worker takes at a time.
+TEXTS = 128
+_CAPITALS = re.compile("[A-Z]+")
+
+#: Buckets of a row's histogram of hashes; a count of FULL stands for that many or more.
+BUCKETS, FULL = 256, 255
+
 
-_LOWER = str.maketrans(UPPER, UPPER.lower())
-_BLANK = str.maketrans(WS, " " * len(WS))
+class Words(dict):
+    """64-bit hashes of words, kept."""
+
+    def __init__(self):
+        import xxhash
+
+        super().__init__()
+        self.digest = xxhash.xxh3_64_intdigest
+
+    def __missing__(self, word: str) -> int:
+        if len(self) > 500_000:
+            self.clear()
+        found = self[word] = self.digest(word.encode())
+        return found
 
 
 class Hasher:
-    """Sorted distinct 64-bit hashes of a text's shingles."""
+    """Sorted distinct 64-bit hashes of texts' shingles, many texts at a time."""
 
     def __init__(self, n: int = SHINGLE):
         import numpy as np
-        import xxhash
 
-        self.np, self.n, self.digest = np, n, xxhash.xxh3_64_intdigest
-        self.known: dict[str, int] = {}
+        self.np, self.n, self.known = np, n, Words()
 
     def mixed(self, x):
         """Spread the bits of 64-bit numbers; a bijection."""
@@ -63,25 +84,34 @@ class Hasher:
         x = (x ^ (x >> np.uint64(33))) * np.uint64(0xC4CEB9FE1A85EC53)
         return x ^ (x >> np.uint64(33))
 
-    def word(self, w: str) -> int:
-        found = self.known.get(w)
-        if found is None:
-            if len(self.known) > 500_000:
-                self.known.clear()
-            found = self.known[w] = self.digest(w.encode())
-        return found
-
-    def shingles(self, text: str | None):
+    def runs(self, h, n: int):
         np = self.np
-        words = [w for w in (text or "").translate(_BLANK).translate(_LOWER).split(" ") if w]
-        if not words:
-            return np.empty(0, np.uint64)
-        h = np.fromiter(map(self.word, words), np.uint64, len(words))
-        n = min(self.n, len(h))
         out = np.full(len(h) - n + 1, n, np.uint64)
         for k in range(n):
             out = self.mixed(out * np.uint64(0x9E3779B97F4A7C15) + h[k : k + len(out)])
-        return np.unique(out)
+        return out
+
+    def words(self, text: str | None) -> list[str]:
+        text = text or ""
+        text = text.lower() if text.isascii() else _CAPITALS.sub(lambda m: m[0].lower(), text)
+        for blank in WS[1:]:
+            text = text.replace(blank, " ")
+        return [w for w in text.split(" ") if w]
+
+    def shingles(self, texts: list[str | None]) -> list:
+        """A sorted array for each text."""
+        np = self.np
+        lists = [self.words(t) for t in texts]
+        h = np.fromiter((x for w in lists for x in map(self.known.__getitem__, w)), np.uint64, sum(map(len, lists)))
+        every = self.runs(h, self.n) if len(h) >= self.n else h[:0]
+        out, at = [], 0
+        for w in lists:
+            k = len(w)
+            own = every[at : at + k - self.n + 1] if k >= self.n else self.runs(h[at : at + k], k) if k else h[:0]
+            own = np.sort(own)
+            out.append(own[np.concatenate(([True], own[1:] != own[:-1]))] if len(own) else own)
+            at += k
+        return out
 
 
 def _needed(a: Column, b: Column, num: int, den: int) -> Column:
@@ -100,45 +130,70 @@ def frequent(docs: DataFrame, n: int) -> dict[int, int]:
         import pyarrow as pa
 
         own = Hasher(n)
-        for batch in batches:
-            some = [own.shingles(t.as_py()) for t in batch.column("text")]
-            h, k = np.unique(np.concatenate(some), return_counts=True) if some else (np.empty(0, np.uint64), np.empty(0, np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(k.astype(np.int64))], names=["h", "k"])
+        for whole in batches:
+            for batch in (whole.slice(k, 1024) for k in range(0, whole.num_rows, 1024)):
+                h, k = np.unique(np.concatenate(own.shingles(batch.column("text").to_pylist())), return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(k.astype(np.int64))], names=["h", "k"])
 
     counts = sample.mapInArrow(counted, "h bigint, k bigint").groupBy("h").agg(F.sum("k").alias("k")).where("k >= 3")
     return {r["h"]: r["k"] for r in counts.orderBy(F.desc("k"), "h").limit(FREQUENT).collect()}
 
 
 def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """``id, n_shingles, d1, d2, head``: size, a 128-bit digest of the set, and its first shingles in the global order."""
+    """``id, n_shingles, d1, d2, head, histogram``.
+
+    The size, a 128-bit digest of the set, its first shingles in the global order,
+    and how many of its hashes fall into each bucket.
+    """
     often = frequent(docs, n)
+    late_keys = sorted(often)
+    late_ranks = [often[h] for h in late_keys]
 
     def sign(batches: Iterator) -> Iterator:
         import numpy as np
         import pyarrow as pa
 
         own = Hasher(n)
-        late = np.array(sorted(often), np.int64).view(np.uint64)
-        late.sort()
-        rank = np.array([often[int(h)] for h in late.view(np.int64)], np.int64)
+        late = np.array(late_keys, np.int64).view(np.uint64)
+        order = np.argsort(late)
+        late, rank = late[order], np.array(late_ranks, np.int64)[order]
+        maybe = np.zeros(1 << 20, bool)
+        maybe[late & np.uint64(0xFFFFF)] = True
+
+        def head(h, keep: int):
+            some = np.flatnonzero(maybe[h & np.uint64(0xFFFFF)]) if len(late) else ()
+            if len(some):
+                at = np.minimum(np.searchsorted(late, h[some]), len(late) - 1)
+                real = late[at] == h[some]
+                some, by = some[real], rank[at[real]]
+            if not len(some):
+                return h[:keep]
+            first = np.ones(len(h), bool)
+            first[some] = False
+            first = h[first][:keep]
+            return first if len(first) == keep else np.concatenate((first, h[some][np.lexsort((h[some], by))]))[:keep]
+
         for whole in batches:
-            for batch in (whole.slice(k, 1024) for k in range(0, whole.num_rows, 1024)):
-                size, d1, d2, head = [], [], [], []
-                for text in batch.column("text"):
-                    h = own.shingles(text.as_py())
-                    size.append(len(h))
-                    d1.append(int(own.mixed(h ^ np.uint64(0x5851F42D4C957F2D)).sum().view(np.int64)) if len(h) else 0)
-                    d2.append(int(own.mixed(h + np.uint64(0x14057B7EF767814F)).sum().view(np.int64)) if len(h) else 0)
-                    keep = len(h) - -(-len(h) * num // den) + 1 if len(h) else 0
-                    if len(late) and len(h):
-                        at = np.minimum(np.searchsorted(late, h), len(late) - 1)
-                        is_late = late[at] == h
-                        last, by = h[is_late], rank[at[is_late]]
-                        h = np.concatenate((h[~is_late][:keep], last[np.lexsort((last, by))]))
-                    head.append(h[:keep].view(np.int64))
-                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(size, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(head, pa.list_(pa.int64()))], names=["id", "n_shingles", "d1", "d2", "head"])
-
-    return docs.mapInArrow(sign, "id bigint, n_shingles bigint, d1 bigint, d2 bigint, head array<bigint>")
+            for batch in (whole.slice(k, TEXTS) for k in range(0, whole.num_rows, TEXTS)):
+                sets = own.shingles(batch.column("text").to_pylist())
+                size = np.array([len(h) for h in sets], np.int64)
+                flat = np.concatenate(sets)
+                row = np.repeat(np.arange(len(sets)), size)
+                full = np.flatnonzero(size)
+                digests = np.zeros((2, len(sets)), np.uint64)
+                if len(full):
+                    starts = (np.cumsum(size) - size)[full]
+                    digests[0, full] = np.add.reduceat(own.mixed(flat ^ np.uint64(0x5851F42D4C957F2D)), starts)
+                    digests[1, full] = np.add.reduceat(own.mixed(flat + np.uint64(0x14057B7EF767814F)), starts)
+                counts = np.bincount(row * BUCKETS + (flat & np.uint64(BUCKETS - 1)).astype(np.int64), minlength=len(sets) * BUCKETS)
+                counts = np.minimum(counts, FULL).astype(np.uint8).reshape(len(sets), BUCKETS)
+                heads = [head(h, len(h) - -(-len(h) * num // den) + 1) if len(h) else h for h in sets]
+                ends = np.concatenate(([0], np.cumsum([len(h) for h in heads])))
+                lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(heads).view(np.int64)))
+                columns = [batch.column("id"), pa.array(size), *(pa.array(d.view(np.int64)) for d in digests), lists, pa.array([c.tobytes() for c in counts], pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, names=["id", "n_shingles", "d1", "d2", "head", "histogram"])
+
+    return docs.mapInArrow(sign, "id bigint, n_shingles bigint, d1 bigint, d2 bigint, head array<bigint>, histogram binary")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -163,34 +218,44 @@ def components(links: DataFrame) -> DataFrame:
             return labels.select("v", "c")
 
 
-def _overlapping(pairs: DataFrame, texts: DataFrame, n: int, num: int, den: int) -> DataFrame:
-    """The pairs ``a, b`` whose full overlap reaches the threshold."""
-    sides = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
-    sides = sides.join(texts.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b").select("a", "b", "text_a", "text_b")
+def _bounded(pairs: DataFrame, rows: DataFrame, num: int, den: int) -> DataFrame:
+    """The pairs ``a, b`` whose histograms leave room for the overlap that their sizes ask for."""
+    sides = pairs
+    for x in ("a", "b"):
+        sides = sides.join(rows.select(F.col("rep").alias(x), F.col("n_shingles").alias(f"n_{x}"), F.col("histogram").alias(f"h_{x}")), x)
 
-    def count(batches: Iterator) -> Iterator:
+    def compare(batches: Iterator) -> Iterator:
         import numpy as np
         import pyarrow as pa
 
-        own, sets = Hasher(n), {}
+        for batch in batches:
+            n = batch.column("n_a").to_numpy() + batch.column("n_b").to_numpy()
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, BUCKETS) for c in ("h_a", "h_b"))
+            low = np.minimum(x, y)
+            most = np.where((low == FULL).any(axis=1), n, low.sum(axis=1, dtype=np.int64))
+            yield batch.select(["a", "b"]).filter(pa.array(most * (num + den) >= num * n))
+
+    return sides.select("a", "b", "n_a", "n_b", "h_a", "h_b").mapInArrow(compare, "a bigint, b bigint")
 
-        def rows(key: int, text: str):
-            found = sets.get(key)
-            if found is None:
-                if len(sets) >= 256:
-                    sets.clear()
-                found = sets[key] = own.shingles(text)
-            return found
 
-        for batch in batches:
-            keep = []
-            for a, b, s, t in zip(*(batch.column(k) for k in range(4)), strict=True):
-                x, y = rows(a.as_py(), s.as_py()), rows(b.as_py(), t.as_py())
-                same = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(den * same >= num * (len(x) + len(y) - same))
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+def _overlapping(pairs: DataFrame, docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
+    """The pairs ``a, b`` whose full overlap reaches the threshold."""
+    sides = pairs.join(docs.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
+    sides = sides.join(docs.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b").select("a", "b", "text_a", "text_b")
+
+    def count(batches: Iterator) -> Iterator:
+        import numpy as np
+        import pyarrow as pa
+
+        own = Hasher(n)
+        for whole in batches:
+            for batch in (whole.slice(k, TEXTS) for k in range(0, whole.num_rows, TEXTS)):
+                left, right = (own.shingles(batch.column(c).to_pylist()) for c in ("text_a", "text_b"))
+                same = np.array([len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(left, right, strict=True)], np.int64)
+                n_both = np.array([len(x) + len(y) for x, y in zip(left, right, strict=True)], np.int64)
+                yield batch.select(["a", "b"]).filter(pa.array(same * (num + den) >= num * n_both))
 
-    return sides.mapInArrow(count, "a bigint, b bigint")
+    return sides.mapInArrow(count, "a bigint, b bigint").distinct()
 
 
 def _possible(x: str, y: str, num: int, den: int) -> Column:
@@ -210,11 +275,11 @@ def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] =
     signed = written(signatures(docs, n, num, den), "signatures")
     full = signed.where((F.col("n_shingles") > 0) & F.col("id").isNotNull())
     classes = written(full.groupBy("d1", "d2", "n_shingles").agg(F.min("id").alias("rep")), "classes")
-    rows = full.join(classes.withColumnRenamed("rep", "id"), ["id", "d1", "d2", "n_shingles"], "left_semi")
-    entries = rows.select(F.col("id").alias("rep"), F.col("n_shingles").alias("n"), F.posexplode("head").alias("pos", "h"))
+    rows = full.join(classes.withColumnRenamed("rep", "id"), ["id", "d1", "d2", "n_shingles"], "left_semi").withColumnRenamed("id", "rep")
+    entries = rows.select("rep", F.col("n_shingles").alias("n"), F.posexplode("head").alias("pos", "h"))
     sizes = entries.groupBy("h").agg(F.count(F.lit(1)).alias("size")).where("size >= 2")
     columns = written(entries.join(sizes, "h"), "columns")
-    texts = written(docs.join(columns.select(F.col("rep").alias("id")).distinct(), "id", "left_semi"), "texts")
+    shapes = written(full.select(F.col("id").alias("rep"), "d1", "d2", "n_shingles", "histogram").join(classes, ["rep", "d1", "d2", "n_shingles"], "left_semi").join(columns.select("rep").distinct(), "rep", "left_semi").dropDuplicates(["rep"]), "shapes")
 
     found: list[DataFrame] = []
     tested: list[DataFrame] = []
@@ -235,7 +300,12 @@ def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] =
         if tested:
             pairs = pairs.join(reduce(DataFrame.union, tested), ["a", "b"], "left_anti")
         tested.append(written(pairs, "pairs"))
-        links = written(_overlapping(tested[-1], texts, n, num, den), "links")
+        near = written(_bounded(tested[-1], shapes, num, den), "near")
+        ends = near.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+        texts = written(docs.join(ends, "id", "left_semi"), "texts")
+        links = written(_overlapping(near, texts, n, num, den), "links")
+        discard(near)
+        discard(texts)
         if links.isEmpty():
             return False
         found.append(links)
@@ -262,7 +332,7 @@ def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] =
     y = still.select("h", "rep", "n", "pos", "c", every.alias("i"), own.alias("j"))
     test(x.alias("x").join(y.alias("y"), ["h", "i", "j"]).where(apart & (F.col("x.rep") < F.col("y.rep"))).select(*pair))
     discard(now)
-    discard(texts)
+    discard(shapes)
     discard(columns)
     for t in tested:
         discard(t)
@@ -286,7 +356,7 @@ def linked_components(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, i
     require(docs, [id_col, text_col])
     plain = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
     signed, classes, _ = link_classes(plain, n, threshold)
-    out = signed.drop("head").join(classes, ["d1", "d2", "n_shingles"], "left")
+    out = signed.drop("head", "histogram").join(classes, ["d1", "d2", "n_shingles"], "left")
     alone = (F.col("n_shingles") == 0) | F.col("id").isNull()
     own = lambda c: F.when(alone, F.col("id")).otherwise(F.col(c))
     return out.select(F.col("id").alias(id_col), "n_shingles", own("rep").alias("class_id"), own("component_id").alias("component_id"))
