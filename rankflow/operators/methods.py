@@ -92,7 +92,9 @@ def _full(graph: Graph, start: DataFrame, params: Params, method: str) -> RankRe
     ranks, telemetry, converged, done = start, [], False, 0
     while done < params.max_iter and not converged:
         t0 = time.monotonic()
-        steps = min(params.write_every, params.max_iter - done)
+        # a step that reads the ranks more than once is written before the next one
+        chained = params.discipline == "sync" and graph.dead_ends != "teleport"
+        steps = min(params.write_every, params.max_iter - done) if chained else 1
         old, now = ranks, ranks
         for _ in range(steps):
             old = now
