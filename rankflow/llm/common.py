@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-import contextlib
-import tempfile
-import uuid
 from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
+from rankflow.storage import discard, shared_folder, written
+
+__all__ = ["UPPER", "WS", "discard", "documents", "let", "lower_ascii", "require", "shared_folder", "windows", "with_fields", "words", "written"]
+
 #: White space of the contracts: blank, tab, newline, vertical tab, form feed, return.
 WS = " \t\n\x0b\x0c\r"
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -57,32 +58,3 @@ def with_fields(schema: StructType) -> StructType:
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where it is unset, the warehouse, or in local mode a temporary folder."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found
-    if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-        return f"file://{tempfile.gettempdir()}/rankflow-{spark.sparkContext.applicationId}"
-    return f"{spark.conf.get('spark.sql.warehouse.dir')}/_scratch"
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` as a table written to the shared folder: cuts lineage and survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out.scratch_path = path
-    return out
-
-
-def discard(df: DataFrame | None) -> None:
-    """Delete a table made by :func:`written`, once nothing will read it again."""
-    path = getattr(df, "scratch_path", None)
-    if path:
-        spark = df.sparkSession
-        hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-        with contextlib.suppress(Exception):
-            hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rankflow.llm import bpe, fingerprint, language, line_dedup, mixing, ngram_join, pii, quality, secrets, toxicity
+from rankflow.llm import bpe, fingerprint, language, line_dedup, mixing, ngram_join, pii, quality, secrets, sql, toxicity
 from rankflow.llm.common import documents
 
 #: A deployment passes its own; this one makes the query's result repeatable.
@@ -96,4 +96,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """SQL for what SQL can express on whole tables; the tests hold the others against brute force."""
+    return {"op2_quality": sql.quality_sql(), "op3_line_dedup": sql.line_dedup_sql(), "op10_ngram_join": sql.ngram_join_sql()}
