@@ -251,10 +251,28 @@ def _reports(r: Registry) -> None:
     r.add("rank_brand_cube", lambda s, d: named(s, d).cube("p_brand", "p_type").agg(total), o.select(parts, "SELECT p_brand, p_type, CAST(round(sum(rank) * 1e9) AS BIGINT) AS total_p9 FROM a10 JOIN part ON p_partkey = id GROUP BY CUBE (p_brand, p_type)"))
 
 
+def _functions(r: Registry) -> None:
+    from rankflow.functions import udfs
+    from rankflow.sources.edges import synthetic
+
+    r.add("small_graph_ranks", lambda s, d: udfs.rank_small_graphs(graphs.turns(s, d)).select("graph_id", "id", F.round(F.col("rank") * 1e9).cast("long").alias("rank_p9")))
+    ring = "SELECT i AS src, (i + 1) % 50 AS dst FROM range(50) AS t(i)"
+    r.add("synthetic_ring", lambda s, d: synthetic(s, "ring", 50), ring)
+
+    def cosines(s: SparkSession, d: str) -> DataFrame:
+        v = graphs.table(s, d, "embeddings").where("vec_id < 40").select("vec_id", "embedding")
+        pairs = v.join(v.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("other")), "vec_id")
+        return pairs.select("vec_id", F.round(udfs.cosine("embedding", "other"), 6).alias("cosine"))
+
+    r.add("cosine_neighbours", cosines, "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1 WHERE b.vec_id < 40")
+    urls = lambda s, d: graphs.table(s, d, "pages").select("page_id", udfs.canonical_url("url").alias("url"))
+    r.add("canonical_urls", urls)
+
+
 def registry() -> Registry:
     from rankflow.plans import relational, streams
 
     r = Registry()
-    for part in (_graphs, _full, _batches, _updates, _measures, _reports, relational.add, streams.add):
+    for part in (_graphs, _full, _batches, _updates, _measures, _reports, _functions, relational.add, streams.add):
         part(r)
     return r
