@@ -89,10 +89,10 @@ def likeness(a: Column, b: Column) -> Column:
 
 def _before(keys: DataFrame, bits: int, low: int, high: int) -> DataFrame:
     """``(k, p)``: each of the distinct integers ``k`` and the next lower one, in groups of ``2 ** bits`` values."""
+    if high - low < 2 << bits:
+        return keys.select("k", F.lag("k").over(Window.partitionBy(F.lit(0)).orderBy("k")).alias("p"))  # one group, of so many values
     group = F.shiftright("k", bits)
     inner = keys.select("k", group.alias("g"), F.lag("k").over(Window.partitionBy(group).orderBy("k")).alias("p"))
-    if low >> bits == high >> bits:
-        return inner.select("k", "p")
     tops = keys.groupBy(group.alias("g")).agg(F.max("k").alias("top"))
     above = _before(tops.select(F.col("g").alias("k")), bits, low >> bits, high >> bits)
     above = above.join(tops, above.p == tops.g, "left").select(F.col("k").alias("g"), "top")
@@ -112,7 +112,7 @@ def with_next(docs: DataFrame, carried: list[str], id_col: str = "doc_id") -> Da
     nothing = [F.lit(None).cast(docs.schema[c].dataType).alias(f"next_{c}") for c in carried]
     if not n:
         return docs.select("*", *nothing)
-    bits = max(1, math.ceil(math.log2(n) / 2))
+    bits = max(8, math.ceil(math.log2(n) / 2))
     group = F.shiftright(F.col(id_col).cast("bigint"), bits)
     tops = known.groupBy(group.alias("k")).agg(F.max(id_col).alias("top"))
     before = _before(tops.select("k"), bits, low >> bits, high >> bits)

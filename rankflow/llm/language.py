@@ -148,7 +148,7 @@ def identify(docs: DataFrame, profiles: dict[str, list[int]], text_col: str = "t
         import pyarrow as pa
 
         space = Space()
-        against = np.array(sums, np.float64).reshape(len(names), -1)
+        against = np.array(sums, np.float64).reshape(len(names), DIMENSIONS)
         against /= np.maximum(np.linalg.norm(against, axis=1, keepdims=True), 1e-12)
         for batch in batches:
             lang, score = [], []

@@ -134,7 +134,7 @@ def test_base_spans():
 
 
 def test_field_finds_what_patterns_miss(spark, sf_dir):
-    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
     field = secrets.learn(docs)
     rows = [*EDGE, (20, "client_secret_key = 9fK2mZ8qL0pXv7Rt3Y done"), (21, "call 4111111111111111 on 2020-01-02"), (22, "x " * 100_000)]
     got = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["secret_spans"]] for r in secrets.find_secrets(frame(spark, rows), field).collect()}
