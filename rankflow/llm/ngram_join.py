@@ -27,11 +27,12 @@ that are known to be connected.
 
 from __future__ import annotations
 
+import contextlib
 import re
 from collections.abc import Iterator
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankflow.llm.common import WS, discard, require, written
@@ -45,8 +46,8 @@ SAMPLE = 24_000
 FREQUENT = 100_000
 #: Rows in a block of a column.
 BLOCK = 512
-#: Texts that a worker takes at a time.
-TEXTS = 128
+#: Texts that a worker takes at a time, rows that it is sent at a time, and word hashes that it keeps.
+TEXTS, ROWS, WORDS = 64, 1000, 100_000
 _CAPITALS = re.compile("[A-Z]+")
 
 #: Buckets of a row's histogram of hashes; a count of FULL stands for that many or more.
@@ -63,7 +64,7 @@ class Words(dict):
         self.digest = xxhash.xxh3_64_intdigest
 
     def __missing__(self, word: str) -> int:
-        if len(self) > 500_000:
+        if len(self) >= WORDS:
             self.clear()
         found = self[word] = self.digest(word.encode())
         return found
@@ -131,7 +132,7 @@ def frequent(docs: DataFrame, n: int) -> dict[int, int]:
 
         own = Hasher(n)
         for whole in batches:
-            for batch in (whole.slice(k, 1024) for k in range(0, whole.num_rows, 1024)):
+            for batch in (whole.slice(k, 4 * TEXTS) for k in range(0, whole.num_rows, 4 * TEXTS)):
                 h, k = np.unique(np.concatenate(own.shingles(batch.column("text").to_pylist())), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(k.astype(np.int64))], names=["h", "k"])
 
@@ -271,7 +272,23 @@ def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] =
     ``docs`` has ``id`` and ``text``.  The links span each component; pairs
     known to be connected already are not tested.
     """
-    num, den = threshold
+    with _small_batches(docs.sparkSession):
+        return _link_classes(docs, n, *threshold)
+
+
+@contextlib.contextmanager
+def _small_batches(spark: SparkSession) -> Iterator[None]:
+    """Fewer rows than usual go to a worker at a time, as some hold two texts."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    usual = spark.conf.get(key)
+    spark.conf.set(key, str(ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, usual)
+
+
+def _link_classes(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     signed = written(signatures(docs, n, num, den), "signatures")
     full = signed.where((F.col("n_shingles") > 0) & F.col("id").isNotNull())
     classes = written(full.groupBy("d1", "d2", "n_shingles").agg(F.min("id").alias("rep")), "classes")
