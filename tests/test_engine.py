@@ -79,7 +79,7 @@ def chain(spark):
     """A chain of 30 with a few shortcuts, its ranks, and a batch near one end."""
     pairs = [(k, k + 1) for k in range(30)] + [(k + 1, k) for k in range(30)] + [(5, 9), (20, 24)]
     g = snapshot.materialised(snapshot.prepare(edges(spark, *pairs)))
-    before = methods.cold(g, Params(write_every=10, max_iter=60)).ranks
+    before = methods.cold(g, Params(tau=1e-6, write_every=5)).ranks
     batch = snapshot.normalize(Batch(edges(spark, (2, 7), (5, 9), (3, 3)), edges(spark, (1, 2), (28, 10))), g.edges)
     batch = Batch(written(batch.ins, "i"), written(batch.dels, "d"))
     new = snapshot.materialised(snapshot.after(g, batch))
