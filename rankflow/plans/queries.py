@@ -16,12 +16,15 @@ from rankflow.plans import oracle as o
 from rankflow.storage import written
 
 Query = Callable[[SparkSession, str], DataFrame]
-P12 = F.round(F.col("rank") * 1e12).cast("long").alias("rank_p12")
 #: Edges in a batch, rounds before it, and the frontier tolerance of the queries.
 SIZE, BEFORE, TAU_F = 40, 5, 1e-9
 MAIN = "order_chain"
 
 
+def p12() -> Column:
+    return F.round(F.col("rank") * 1e12).cast("long").alias("rank_p12")
+
+
 def fixed(k: int, **other) -> Params:
     """Exactly ``k`` rounds."""
     return Params(max_iter=k, stop=False, tau_f=TAU_F, write_every=min(k, 10)).but(**other)
@@ -68,14 +71,14 @@ def _graphs(r: Registry) -> None:
     whole = lambda s, d: snapshot.prepare(graphs.part_flow(s, d))
     r.add("self_loops", lambda s, d: whole(s, d).edges, o.select(o.graph("part_flow"), "SELECT src, dst FROM g"))
     r.add("out_degrees", lambda s, d: snapshot.out_degrees(whole(s, d).edges), o.select(o.graph("part_flow"), "SELECT src, count(*) AS degree FROM g GROUP BY src"))
-    weight = F.round(F.col("w") * 1e12).cast("long").alias("w_p12")
-    r.add("edge_weights", lambda s, d: whole(s, d).edges_w.select("src", "dst", weight), o.select(o.graph("part_flow"), "SELECT src, dst, CAST(round(w * 1e12) AS BIGINT) AS w_p12 FROM w"))
+    weight = lambda: F.round(F.col("w") * 1e12).cast("long").alias("w_p12")
+    r.add("edge_weights", lambda s, d: whole(s, d).edges_w.select("src", "dst", weight()), o.select(o.graph("part_flow"), "SELECT src, dst, CAST(round(w * 1e12) AS BIGINT) AS w_p12 FROM w"))
     r.add("symmetrize", lambda s, d: snapshot.symmetrize(graphs.part_flow(s, d)), o.select(o.graph("part_flow"), "SELECT src, dst FROM e UNION SELECT dst, src FROM e"))
 
 
 def _full(r: Registry) -> None:
     def cold(name: str, k: int, dead: str = "selfloop", **other) -> Query:
-        return lambda s, d: methods.cold(ready(s, d, name, dead), fixed(k, dead_ends=dead, **other)).ranks.select("id", P12)
+        return lambda s, d: methods.cold(ready(s, d, name, dead), fixed(k, dead_ends=dead, **other)).ranks.select("id", p12())
 
     def sql(name: str, k: int, dead: str = "selfloop", lost: str = "") -> str:
         return o.select([*o.graph(name, dead), o.uniform(), *o.steps(k, "w", "r0", "a", lost)], f"SELECT id, {o.P12} FROM a{k}")
@@ -92,7 +95,7 @@ def _full(r: Registry) -> None:
 
 
 def _once(graph: Graph) -> DataFrame:
-    return kernel.pull_step(graph, methods.uniform(graph), 0.85).select("id", P12)
+    return kernel.pull_step(graph, methods.uniform(graph), 0.85).select("id", p12())
 
 
 def _batches(r: Registry) -> None:
@@ -158,7 +161,7 @@ def _updates(r: Registry) -> None:
             batch, new = changed(old, kind)
             before = methods.cold(old, fixed(BEFORE)).ranks
             out = methods.run(method, old, new, batch, before, fixed(k, **other))
-            ranks = out.ranks.select("id", P12)
+            ranks = out.ranks.select("id", p12())
             return ranks.join(out.affected.select("id", F.lit(True).alias("affected")), "id", "left").fillna(False, ["affected"]) if with_marks else ranks
 
         return query
@@ -201,7 +204,7 @@ def _updates(r: Registry) -> None:
         g = ready(s, d, "nation_trade")
         ranks = methods.cold(g, fixed(20)).ranks
         added = s.createDataFrame([(1000,), (1001,)], "id bigint")
-        return snapshot.rescale(ranks, g.n, g.n + 2, added).select("id", P12)
+        return snapshot.rescale(ranks, g.n, g.n + 2, added).select("id", p12())
 
     scaled = [*o.graph("nation_trade"), o.uniform(), *o.steps(20, "w", "r0", "a")]
     r.add("vertex_add_rescale", grown, o.select(scaled, f"SELECT id, {o.P12} FROM (SELECT id, rank * (n / (n + 2)) AS rank FROM a20, nn UNION ALL SELECT x, 1 / (n + 2) FROM nn, (VALUES (CAST(1000 AS BIGINT)), (1001)) AS t(x))"))
@@ -211,7 +214,7 @@ def _warm_blocked(spark: SparkSession, sf_dir: str) -> DataFrame:
     old = ready(spark, sf_dir, "nation_trade")
     batch, new = changed(old, "mix")
     before = methods.cold(old, fixed(BEFORE)).ranks
-    return methods.warm(new, before, fixed(3, discipline="blocked", blocks=2)).ranks.select("id", P12)
+    return methods.warm(new, before, fixed(3, discipline="blocked", blocks=2)).ranks.select("id", p12())
 
 
 def _measures(r: Registry) -> None:
@@ -247,9 +250,9 @@ def _reports(r: Registry) -> None:
     parts = [*o.graph("part_flow"), o.uniform(), *o.steps(10, "w", "r0", "a")]
     named = lambda s, d: methods.cold(ready(s, d, "part_flow"), fixed(10)).ranks.join(graphs.table(s, d, "part").select(F.col("p_partkey").alias("id"), "p_brand", "p_type"), "id")
     r.add("top_parts_by_rank", lambda s, d: measures.top_k(named(s, d).withColumn("rank", F.round("rank", 15)), 20).select("id", "p_brand"), o.select(parts, "SELECT id, p_brand FROM a10 JOIN part ON p_partkey = id ORDER BY round(rank, 15) DESC, id LIMIT 20"))
-    total = F.round(F.sum("rank") * 1e9).cast("long").alias("total_p9")
-    r.add("rank_by_brand_rollup", lambda s, d: named(s, d).rollup("p_brand", "p_type").agg(total), o.select(parts, "SELECT p_brand, p_type, CAST(round(sum(rank) * 1e9) AS BIGINT) AS total_p9 FROM a10 JOIN part ON p_partkey = id GROUP BY ROLLUP (p_brand, p_type)"))
-    r.add("rank_brand_cube", lambda s, d: named(s, d).cube("p_brand", "p_type").agg(total), o.select(parts, "SELECT p_brand, p_type, CAST(round(sum(rank) * 1e9) AS BIGINT) AS total_p9 FROM a10 JOIN part ON p_partkey = id GROUP BY CUBE (p_brand, p_type)"))
+    total = lambda: F.round(F.sum("rank") * 1e9).cast("long").alias("total_p9")
+    r.add("rank_by_brand_rollup", lambda s, d: named(s, d).rollup("p_brand", "p_type").agg(total()), o.select(parts, "SELECT p_brand, p_type, CAST(round(sum(rank) * 1e9) AS BIGINT) AS total_p9 FROM a10 JOIN part ON p_partkey = id GROUP BY ROLLUP (p_brand, p_type)"))
+    r.add("rank_brand_cube", lambda s, d: named(s, d).cube("p_brand", "p_type").agg(total()), o.select(parts, "SELECT p_brand, p_type, CAST(round(sum(rank) * 1e9) AS BIGINT) AS total_p9 FROM a10 JOIN part ON p_partkey = id GROUP BY CUBE (p_brand, p_type)"))
 
 
 def _functions(r: Registry) -> None:

@@ -62,13 +62,13 @@ def add(r: Registry) -> None:
           "SELECT p_partkey, 'p_size' AS name, CAST(p_size AS DOUBLE) AS x FROM part UNION ALL SELECT p_partkey, 'p_retailprice', p_retailprice FROM part")
     r.add("agg_collect", lambda s, d: t(s, d, "nation").groupBy("n_regionkey").agg(F.array_join(F.array_sort(F.collect_set("n_name")), ",").alias("names")),
           "SELECT n_regionkey, string_agg(DISTINCT n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY 1")
-    w = Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")
-    r.add("window_ranks", lambda s, d: t(s, d, "customer").select("c_custkey", F.row_number().over(w).alias("rn"), F.ntile(4).over(w).alias("quarter"), F.lag("c_custkey").over(w).alias("before")),
+    w = lambda: Window.partitionBy("c_nationkey").orderBy(F.desc("c_acctbal"), "c_custkey")
+    r.add("window_ranks", lambda s, d: t(s, d, "customer").select("c_custkey", F.row_number().over(w()).alias("rn"), F.ntile(4).over(w()).alias("quarter"), F.lag("c_custkey").over(w()).alias("before")),
           "SELECT c_custkey, CAST(row_number() OVER w AS INTEGER) AS rn, CAST(ntile(4) OVER w AS INTEGER) AS quarter, lag(c_custkey) OVER w AS before FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey)")
-    run = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-    r.add("window_frames", lambda s, d: t(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(run.rowsBetween(Window.unboundedPreceding, 0)), 2).alias("running"), F.count(F.lit(1)).over(run.rowsBetween(-2, 2)).alias("near")),
+    run = lambda: Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    r.add("window_frames", lambda s, d: t(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(run().rowsBetween(Window.unboundedPreceding, 0)), 2).alias("running"), F.count(F.lit(1)).over(run().rowsBetween(-2, 2)).alias("near")),
           "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS running, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS near FROM orders")
-    r.add("topk_per_group", lambda s, d: t(s, d, "customer").withColumn("rn", F.row_number().over(w)).where("rn <= 3").select("c_nationkey", "c_custkey"),
+    r.add("topk_per_group", lambda s, d: t(s, d, "customer").withColumn("rn", F.row_number().over(w())).where("rn <= 3").select("c_nationkey", "c_custkey"),
           "SELECT c_nationkey, c_custkey FROM customer QUALIFY row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) <= 3")
     ids = lambda s, d, where: t(s, d, "lineitem").where(where).select("l_partkey")
     for name, op, word in (("union", "union", "UNION ALL"), ("intersect_all", "intersectAll", "INTERSECT ALL"), ("except_all", "exceptAll", "EXCEPT ALL")):
