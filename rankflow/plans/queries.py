@@ -264,11 +264,11 @@ def _functions(r: Registry) -> None:
     r.add("synthetic_ring", lambda s, d: synthetic(s, "ring", 50), ring)
 
     def cosines(s: SparkSession, d: str) -> DataFrame:
-        v = graphs.table(s, d, "embeddings").where("vec_id < 40").select("vec_id", "embedding")
+        v = graphs.table(s, d, "embeddings").select("vec_id", "embedding")
         pairs = v.join(v.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("other")), "vec_id")
         return pairs.select("vec_id", F.round(udfs.cosine("embedding", "other"), 6).alias("cosine"))
 
-    r.add("cosine_neighbours", cosines, "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1 WHERE b.vec_id < 40")
+    r.add("cosine_neighbours", cosines, "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
     urls = lambda s, d: graphs.table(s, d, "pages").select("page_id", udfs.canonical_url("url").alias("url"))
     r.add("canonical_urls", urls)
 

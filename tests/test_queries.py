@@ -38,3 +38,8 @@ def test_entry(spark):
     df = entry.entry(spark)
     assert df.count() > 0 and {"id", "rank", "affected"} <= set(df.columns)
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_cosines_of_the_whole_table(spark, con, sf_dir):
+    pairs = con.sql("SELECT count(*) FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1").fetchall()[0][0]
+    assert pairs > 39 and REGISTRY.queries["cosine_neighbours"](spark, sf_dir).count() == pairs
