@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from datetime import datetime, timedelta
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -93,6 +93,29 @@ def sliding(edges_ts: DataFrame, start: datetime, width: timedelta, keep: timede
         yield Batch(_between(edges_ts, start + k * width, start + (k + 1) * width), old)
 
 
+def slide(edges_ts: DataFrame, times: DataFrame, width: timedelta, keep: timedelta) -> DataFrame:
+    """``(batch, src, dst, op)``: the batches of :func:`sliding` for every window, in one pass.
+
+    Windows are numbered from the start of the first day of ``times(ts)`` to the
+    one that holds its last time.  An edge enters in the window of its time and leaves in
+    that of its time plus ``keep``, if the series gets there.
+    """
+    step, later = (x // timedelta(microseconds=1) for x in (width, keep))
+    span = times.agg(F.min("ts").cast("date").cast("timestamp_ntz").alias("_first"), F.max("ts").alias("_end"))
+    after = lambda c: _micros(F.col(c) - F.col("_first"))
+    window = lambda micros: F.floor(micros / step).cast("int")
+    placed = edges_ts.crossJoin(F.broadcast(span)).select("src", "dst", after("ts").alias("at"), window(after("_end")).alias("last"))
+    moves = F.array(F.struct(window(F.col("at")).alias("batch"), F.lit("+").alias("op")), F.struct(window(F.col("at") + later).alias("batch"), F.lit("-").alias("op")))
+    return placed.select("src", "dst", "last", F.explode(moves).alias("m")).where("m.batch BETWEEN 0 AND last").select("m.batch", "src", "dst", "m.op")
+
+
+def _micros(interval: Column) -> Column:
+    """Microseconds of an interval that isn't negative; whatever the session's time zone."""
+    hours = F.extract(F.lit("DAY"), interval).cast("long") * 24 + F.extract(F.lit("HOUR"), interval)
+    minutes = hours * 60 + F.extract(F.lit("MINUTE"), interval)
+    return minutes * 60_000_000 + (F.extract(F.lit("SECOND"), interval) * 1_000_000).cast("long")
+
+
 def _between(edges_ts: DataFrame, low: datetime, high: datetime) -> DataFrame:
     at = lambda t: F.lit(str(t)).cast("timestamp_ntz")
     return edges_ts.where((F.col("ts") >= at(low)) & (F.col("ts") < at(high))).select("src", "dst")

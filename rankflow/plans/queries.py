@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from datetime import datetime, timedelta
+from datetime import timedelta
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -133,15 +133,10 @@ def _batches(r: Registry) -> None:
     r.add("temporal_batches_day", lambda s, d: batches.windows(graphs.touch(s, d)), f"SELECT date_trunc('day', ts) AS window_start, count(*) AS edges FROM ({graphs.SQL['touch']}) GROUP BY 1")
 
     def slid(s: SparkSession, d: str) -> DataFrame:
-        found = batches.sliding(graphs.handoff(s, d), datetime(2024, 1, 10), timedelta(days=1), timedelta(days=7), 3)
-        out = None
-        for k, b in enumerate(found):
-            one = b.signed().select(F.lit(k).alias("batch"), "src", "dst", "op")
-            out = one if out is None else out.union(one)
-        return out
+        return batches.slide(graphs.handoff(s, d), graphs.table(s, d, "events"), timedelta(days=1), timedelta(days=7))
 
-    days = " UNION ALL ".join(f"SELECT {k} AS batch, src, dst, '{op}' AS op FROM h WHERE ts >= TIMESTAMP '2024-01-{day:02d}' AND ts < TIMESTAMP '2024-01-{day + 1:02d}'" for k in range(3) for op, day in (("+", 10 + k), ("-", 3 + k)))
-    r.add("temporal_sliding", slid, f"WITH h AS ({graphs.SQL['handoff']}) {days}")
+    days = "SELECT date_diff('day', low, CAST(ts AS DATE)) AS day, src, dst, date_diff('day', low, high) AS last FROM h, (SELECT CAST(min(ts) AS DATE) AS low, CAST(max(ts) AS DATE) AS high FROM events)"
+    r.add("temporal_sliding", slid, f"WITH h AS ({graphs.SQL['handoff']}), t AS ({days}) SELECT CAST(day AS INTEGER) AS batch, src, dst, '+' AS op FROM t UNION ALL SELECT CAST(day + 7 AS INTEGER), src, dst, '-' FROM t WHERE day + 7 <= last")
 
 
 def _initial(graph: Graph, kind: str) -> DataFrame:

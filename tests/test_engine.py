@@ -217,3 +217,18 @@ def test_plans_have_no_cartesian_product(chain):
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in plan and "NestedLoop" not in plan
     assert "SinglePartition" not in kernel.pull_step(g, before, 0.85)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_every_window_has_its_batch(spark):
+    from datetime import datetime, timedelta
+
+    day = lambda d, h=0: datetime(2031, 3, d, h)
+    rows = [(1, 2, day(1, 5)), (2, 3, day(2)), (3, 4, day(2, 23)), (4, 5, day(4, 1)), (5, 6, day(9, 7))]
+    timed = spark.createDataFrame(rows, "src bigint, dst bigint, ts timestamp_ntz")
+    times = spark.createDataFrame([(day(1, 4),), (day(9, 9),)], "ts timestamp_ntz")
+    for width, keep in ((timedelta(days=1), timedelta(days=7)), (timedelta(hours=6), timedelta(hours=45))):
+        count = (day(9, 9) - day(1)) // width + 1
+        want = {(k, *r) for k, b in enumerate(batches.sliding(timed, day(1), width, keep, count)) for r in b.signed().select("src", "dst", "op").collect()} if width.days else None
+        got = [tuple(r) for r in batches.slide(timed, times, width, keep).collect()]
+        plain = {((t - day(1)) // width, s, d, "+") for s, d, t in rows} | {(k, s, d, "-") for s, d, t in rows if (k := (t + keep - day(1)) // width) < count}
+        assert set(got) == plain and len(got) == len(plain) and want in (None, plain)
