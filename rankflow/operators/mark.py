@@ -35,8 +35,56 @@ def expand(new: Graph, movers: DataFrame) -> DataFrame:
 def reachable(edges: DataFrame, start: DataFrame, include_sources: bool = False, max_depth: int | None = None) -> DataFrame:
     """All ids reachable from ``start(id)``; a start itself if an edge leads back to it.
 
-    A round for each step; visited ids and the front are tables in the shared folder.
+    Without a bound on the depth, vertices that edges join both ways are first
+    contracted, as who reaches one of them reaches all: long two-way chains
+    then cost rounds in the logarithm of their length.
     """
+    if max_depth is not None:
+        return _traversed(edges, start, include_sources, max_depth)
+    edges = written(edges.select("src", "dst"), "edges")
+    groups = two_way_groups(edges)
+    name = lambda c: F.coalesce("root", c)
+    of = lambda df, c: df.join(groups.select(F.col("id").alias(c), "root"), c, "left")
+    among = of(of(edges, "src").withColumn("src", name("src")).drop("root"), "dst").select("src", name("dst").alias("dst"))
+    small = written(among.distinct(), "edges")
+    roots = of(start.select("id"), "id").select(name("id").alias("id"))
+    seen = _traversed(small, roots, include_sources, None)
+    out = written(seen.join(groups.select(F.col("root").alias("id"), F.col("id").alias("member")), "id", "left").select(F.coalesce("member", "id").alias("id")), "reached")
+    discard(edges, groups, small, seen)
+    return out
+
+
+def two_way_groups(edges: DataFrame) -> DataFrame:
+    """``(id, root)`` of vertices that edges join both ways, directly or through others.
+
+    Each round hangs a group on its least neighbour, jumps to the roots of what has
+    been hung, and keeps only the edges between different roots.
+    """
+    one = edges.where("src <> dst")
+    links = written(one.intersect(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"))), "links")
+    groups = written(links.select(F.col("src").alias("id"), F.col("src").alias("root")).distinct(), "groups")
+    while not links.isEmpty():
+        hung = written(links.groupBy("src").agg(F.min("dst").alias("up")).select(F.col("src").alias("v"), F.least("src", "up").alias("up")), "hung")
+        while True:
+            above = hung.select(F.col("v").alias("up"), F.col("up").alias("top"))
+            jumped = written(hung.join(above, "up").select("v", F.col("top").alias("up"), (F.col("top") != F.col("up")).alias("moved")), "hung")
+            done = jumped.where("moved").isEmpty()
+            discard(hung)
+            hung = jumped.select("v", "up")
+            hung.scratch_path = jumped.scratch_path
+            if done:
+                break
+        top = lambda c: hung.select(F.col("v").alias(c), F.col("up").alias(f"{c}_top"))
+        fewer = written(links.join(top("src"), "src").join(top("dst"), "dst").where("src_top <> dst_top").select(F.col("src_top").alias("src"), F.col("dst_top").alias("dst")).distinct(), "links")
+        grown = written(groups.join(top("root"), "root", "left").select("id", F.coalesce("root_top", "root").alias("root")), "groups")
+        discard(links, groups, hung)
+        links, groups = fewer, grown
+    discard(links)
+    return groups
+
+
+def _traversed(edges: DataFrame, start: DataFrame, include_sources: bool, max_depth: int | None) -> DataFrame:
+    """A round for each step; visited ids and the front are tables in the shared folder."""
     front = written(start.select("id").distinct(), "front")
     seen = written(front if include_sources else front.limit(0), "seen")
     depth = 0

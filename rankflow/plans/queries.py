@@ -19,6 +19,8 @@ Query = Callable[[SparkSession, str], DataFrame]
 #: Edges in a batch, rounds before it, and the frontier tolerance of the queries.
 SIZE, BEFORE, TAU_F = 40, 5, 1e-9
 MAIN = "order_chain"
+#: Graphs of the reachability queries, by what their names have more: long chains, and links of few hops.
+REACHED = {"": MAIN, "pages_": "page_links"}
 
 
 def p12() -> Column:
@@ -103,8 +105,8 @@ def _batches(r: Registry) -> None:
         parts = [*o.graph(MAIN), *o.batch(kind, SIZE)]
         r.add(f"batch_{kind}", lambda s, d, kind=kind: batches.generate(kind, ready(s, d, MAIN), SIZE).signed(), o.select(parts, "SELECT src, dst, '+' AS op FROM ins UNION ALL SELECT src, dst, '-' FROM dels"))
         r.add(f"mark_initial_{kind}", lambda s, d, kind=kind: _initial(ready(s, d, MAIN), kind), o.select([*parts, o.INITIAL], "SELECT id FROM m0"))
-        # a graph of few hops: rounds of reachability are jobs
-        r.add(f"reach_set_{kind}", lambda s, d, kind=kind: _reached(ready(s, d, "page_links"), kind), o.select([*o.graph("page_links"), *o.batch(kind, SIZE), o.REACHED], "SELECT id FROM rs", recursive=True))
+        for more, name in REACHED.items():
+            r.add(f"reach_set_{more}{kind}", lambda s, d, kind=kind, name=name: _reached(ready(s, d, name), kind), o.select([*o.graph(name), *o.batch(kind, SIZE), o.REACHED], "SELECT id FROM rs", recursive=True))
     mix = [*o.graph(MAIN), *o.batch("mix", SIZE)]
 
     def applied(s: SparkSession, d: str) -> DataFrame:
@@ -170,8 +172,9 @@ def _updates(r: Registry) -> None:
 
     for kind in ("ins", "del", "mix"):
         r.add(f"warm_k5_{kind}", update("warm", kind, 5, with_marks=False), o.select([*start(kind), *o.steps(5, "w2", f"a{BEFORE}", "b")], f"SELECT id, {o.P12} FROM b5"))
-        parts = [*start(kind, "page_links"), o.REACHED, "ms AS MATERIALIZED (SELECT DISTINCT id FROM rs)", *o.restricted(5, f"a{BEFORE}", "ms", False, 0.0)]
-        r.add(f"reach_k5_{kind}", update("reach", kind, 5, "page_links"), o.select(parts, f"SELECT id, {o.P12}, id IN (SELECT id FROM ms) AS affected FROM x5", recursive=True))
+        for more, name in REACHED.items():
+            parts = [*start(kind, name), o.REACHED, "ms AS MATERIALIZED (SELECT DISTINCT id FROM rs)", *o.restricted(5, f"a{BEFORE}", "ms", False, 0.0)]
+            r.add(f"reach_k5_{more}{kind}", update("reach", kind, 5, name), o.select(parts, f"SELECT id, {o.P12}, id IN (SELECT id FROM ms) AS affected FROM x5", recursive=True))
         for k in (1, 2, 5):
             r.add(f"frontier_k{k}_{kind}", update("frontier", kind, k), frontier(kind, k))
     r.add("frontier_never_expand", update("frontier", "mix", 3, tau_f=1e300), frontier("mix", 3, 1e300))

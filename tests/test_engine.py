@@ -232,3 +232,29 @@ def test_every_window_has_its_batch(spark):
         got = [tuple(r) for r in batches.slide(timed, times, width, keep).collect()]
         plain = {((t - day(1)) // width, s, d, "+") for s, d, t in rows} | {(k, s, d, "-") for s, d, t in rows if (k := (t + keep - day(1)) // width) < count}
         assert set(got) == plain and len(got) == len(plain) and want in (None, plain)
+
+
+def test_reach_on_long_chains_and_any_graph(spark):
+    import random
+
+    random.seed(4)
+    names = random.sample(range(1000), 60)
+    pairs = [(a, b) for x, y in zip(names, names[1:], strict=False) if {x, y} != {names[29], names[30]} for a, b in ((x, y), (y, x))]
+    pairs += [(names[29], names[30]), (names[59], 2000), (2000, 2001), (2001, 2000), (2001, 2002), (3000, names[0]), (3001, 3001), (3002, 3000), (3003, 3004), (3004, 3005), (3005, 3003)]
+    out = {}
+    for a, b in pairs:
+        out.setdefault(a, []).append(b)
+    for start in ({names[40], 3004}, {2002, 3000, 3001}):
+        seen, front = set(), start
+        while front := {b for a in front for b in out.get(a, [])} - seen:
+            seen |= front
+        rows = mark.reachable(edges(spark, *pairs), spark.createDataFrame([(v,) for v in start], "id bigint")).collect()
+        assert {r[0] for r in rows} == seen and len(rows) == len(seen)
+
+
+def test_reach_queries_are_on_the_main_graph():
+    from rankflow.plans.queries import MAIN, registry
+
+    known = registry().sql
+    for name in ("reach_set_ins", "reach_set_del", "reach_set_mix", "reach_k5_ins", "reach_k5_del", "reach_k5_mix"):
+        assert graphs.SQL[MAIN] in known[name] and graphs.SQL["page_links"] in known[name.replace("_ins", "_pages_ins").replace("_del", "_pages_del").replace("_mix", "_pages_mix")]
