@@ -266,14 +266,15 @@ def _possible(x: str, y: str, num: int, den: int) -> Column:
     return fits & (F.least(n - i, m - j) >= _needed(n, m, num, den))
 
 
-def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD) -> tuple[DataFrame, DataFrame, DataFrame]:
+def link_classes(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, complete: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Signatures, classes with their components, and the links found between representatives.
 
     ``docs`` has ``id`` and ``text``.  The links span each component; pairs
-    known to be connected already are not tested.
+    known to be connected already are not tested, unless ``complete`` asks for
+    every link between different classes.
     """
     with _small_batches(docs.sparkSession):
-        return _link_classes(docs, n, *threshold)
+        return _link_classes(docs, n, *threshold, complete)
 
 
 @contextlib.contextmanager
@@ -288,7 +289,7 @@ def _small_batches(spark: SparkSession) -> Iterator[None]:
         spark.conf.set(key, usual)
 
 
-def _link_classes(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _link_classes(docs: DataFrame, n: int, num: int, den: int, complete: bool) -> tuple[DataFrame, DataFrame, DataFrame]:
     signed = written(signatures(docs, n, num, den), "signatures")
     full = signed.where((F.col("n_shingles") > 0) & F.col("id").isNotNull())
     classes = written(full.groupBy("d1", "d2", "n_shingles").agg(F.min("id").alias("rep")), "classes")
@@ -331,8 +332,8 @@ def _link_classes(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFram
         return True
 
     pair = [F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")]
-    apart = (F.col("x.rep") != F.col("y.rep")) & (F.col("x.c") != F.col("y.c")) & _possible("x", "y", num, den)
-    for order in (F.struct("pos", "rep", "n", "c"), F.struct(F.xxhash64("rep").alias("_"), "pos", "rep", "n", "c")):
+    apart = (F.col("x.rep") != F.col("y.rep")) & (F.lit(complete) | (F.col("x.c") != F.col("y.c"))) & _possible("x", "y", num, den)
+    for order in () if complete else (F.struct("pos", "rep", "n", "c"), F.struct(F.xxhash64("rep").alias("_"), "pos", "rep", "n", "c")):
         now = written(labelled(), "columns-now")
         first = written(now.groupBy("h").agg(F.min(order).alias("y"), F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("h", "y"), "first")
         more = test(now.alias("x").join(first, "h").where(apart).select(*pair))
@@ -341,7 +342,7 @@ def _link_classes(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFram
         if not more:
             break
     now = written(labelled(), "columns-now")
-    still = now.join(written(open_columns(now), "open"), "h")
+    still = now if complete else now.join(written(open_columns(now), "open"), "h")
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("rep"), blocks).cast("int")
     every = F.explode(F.sequence(F.lit(0), blocks - 1))
@@ -379,6 +380,27 @@ def linked_components(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, i
     return out.select(F.col("id").alias(id_col), "n_shingles", own("rep").alias("class_id"), own("component_id").alias("component_id"))
 
 
+def link_counts(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``id_col, n_shingles, class_id, component_id, n_links`` for each row of ``docs``.
+
+    As :func:`linked_components`, with the number of other rows that a row links with.  All
+    pairs of classes that pass the bounds are tested, those of one component too:
+    a group of near copies costs the square of its different texts.
+    """
+    require(docs, [id_col, text_col])
+    plain = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
+    signed, classes, links = link_classes(plain, n, threshold, complete=True)
+    key = ["d1", "d2", "n_shingles"]
+    sizes = written(signed.where("n_shingles > 0 AND id IS NOT NULL").groupBy(key).agg(F.count(F.lit(1)).alias("size")).join(classes, key).select(*key, "rep", "component_id", "size"), "sizes")
+    both = links.select("a", "b").union(links.select("b", "a"))
+    linked = both.join(sizes.select(F.col("rep").alias("b"), "size"), "b").groupBy(F.col("a").alias("rep")).agg(F.sum("size").alias("others"))
+    counted = sizes.join(linked, "rep", "left").withColumn("n_links", F.col("size") - 1 + F.coalesce("others", F.lit(0)))
+    out = signed.drop("head", "histogram").join(counted, key, "left")
+    alone = (F.col("n_shingles") == 0) | F.col("id").isNull()
+    own = lambda c, other: F.when(alone, other).otherwise(F.col(c))
+    return out.select(F.col("id").alias(id_col), "n_shingles", own("rep", F.col("id")).alias("class_id"), own("component_id", F.col("id")).alias("component_id"), own("n_links", F.lit(0)).alias("n_links"))
+
+
 def keep_one(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each component: that of the least id.  Rows without words or id stay."""
     groups = linked_components(docs, n, threshold, id_col, text_col)

@@ -91,8 +91,13 @@ def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.linked_components(documents(spark, sf_dir).select("doc_id", "text"))
 
 
+def op10_ngram_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As ``op10_ngram_join``, with the number of links of each document: no link is left untested."""
+    return ngram_join.link_counts(documents(spark, sf_dir).select("doc_id", "text"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_pii, op2_quality, op3_line_dedup, op4_mixing, op5_secrets, op6_toxicity, op7_fingerprint, op8_language, op9_bpe, op10_ngram_join)}
+    return {f.__name__: f for f in (op1_pii, op2_quality, op3_line_dedup, op4_mixing, op5_secrets, op6_toxicity, op7_fingerprint, op8_language, op9_bpe, op10_ngram_join, op10_ngram_links)}
 
 
 def oracle_sql() -> dict[str, str]:

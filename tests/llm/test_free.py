@@ -111,6 +111,21 @@ def test_blocks_lose_no_link(spark, monkeypatch):
     assert got == brute(rows, 3, 90, 100)
 
 
+def test_every_link_is_counted(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "BLOCK", 4)
+    base = [f"w{k}" for k in range(60)]
+    texts = [" ".join(base[:k] + ["y"] * (k < 12) + base[k + 1 :]) for k in (0, 1, 2, 58, 59)]
+    rows = [(i, t) for i, t in enumerate([*texts, texts[0], texts[3].upper(), "a b", "A  b", " ".join(base), " ".join(reversed(base)), "", None])]
+    sets = {}
+    for i, t in rows:
+        w = (t or "").lower().split()
+        sets[i] = {tuple(w[k : k + 3]) for k in range(len(w) - 2)} if len(w) > 2 else {tuple(w)} if w else set()
+    links = lambda i: sum(j != i and bool(sets[i] and sets[j]) and 100 * len(sets[i] & sets[j]) >= 90 * len(sets[i] | sets[j]) for j in sets)
+    got = ngram_join.link_counts(frame(spark, rows)).collect()
+    assert {r["doc_id"]: r["n_links"] for r in got} == {i: links(i) for i in sets} and max(r["n_links"] for r in got) > 5
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == brute(rows, 3, 90, 100)
+
+
 def test_components_of_nothing(spark):
     docs = frame(spark, [(1, None), (None, "a b c d"), (2, "")])
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.linked_components(docs).collect()}
