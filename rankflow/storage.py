@@ -10,13 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where it is unset, the warehouse, or in local mode a temporary folder."""
+    """A folder of this application in that of ``spark.checkpoint.dir``; where that is unset, in the warehouse, or in local mode a temporary folder."""
+    own = f"rankflow-{spark.sparkContext.applicationId}"
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
-        return found
+        return f"{found}/{own}"
     if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-        return f"file://{tempfile.gettempdir()}/rankflow-{spark.sparkContext.applicationId}"
-    return f"{spark.conf.get('spark.sql.warehouse.dir')}/_scratch"
+        return f"file://{tempfile.gettempdir()}/{own}"
+    return f"{spark.conf.get('spark.sql.warehouse.dir')}/{own}"
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
@@ -28,12 +29,29 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def held(df: DataFrame, *tables: DataFrame | None) -> DataFrame:
+    """``df``, which still reads tables made by :func:`written`: they go with it when it is discarded."""
+    df.scratch_tables = [*getattr(df, "scratch_tables", []), *(t for t in tables if t is not None)]
+    return df
+
+
 def discard(*tables: DataFrame | None) -> None:
-    """Delete tables made by :func:`written`, once nothing will read them again."""
+    """Delete tables made by :func:`written`, and those that a result was :func:`held` with, once nothing will read them again."""
     for df in tables:
+        if df is None:
+            continue
+        discard(*getattr(df, "scratch_tables", []))
         path = getattr(df, "scratch_path", None)
         if path:
-            spark = df.sparkSession
-            hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            with contextlib.suppress(Exception):
-                hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
+            _delete(df.sparkSession, path)
+
+
+def discard_all(spark: SparkSession) -> None:
+    """Delete all that this application has left in the shared folder; its results can't be read any more."""
+    _delete(spark, shared_folder(spark))
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    with contextlib.suppress(Exception):
+        hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(hadoop, True)
