@@ -8,9 +8,9 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from rankflow.storage import discard, shared_folder, written
+from rankflow.storage import discard, held, shared_folder, written
 
-__all__ = ["UPPER", "WS", "discard", "documents", "let", "lower_ascii", "require", "shared_folder", "windows", "with_fields", "words", "written"]
+__all__ = ["UPPER", "WS", "discard", "documents", "held", "let", "lower_ascii", "packed", "require", "shared_folder", "unpacked", "windows", "with_fields", "words", "written"]
 
 #: White space of the contracts: blank, tab, newline, vertical tab, form feed, return.
 WS = " \t\n\x0b\x0c\r"
@@ -51,6 +51,19 @@ def require(df: DataFrame, columns: Iterable[str]) -> None:
         raise ValueError(f"missing columns: {', '.join(missing)}")
 
 
+def packed(docs: DataFrame) -> DataFrame:
+    """The rows as one column ``row``, so that no inner name can clash with one of theirs."""
+    return docs.select(F.struct("*").alias("row"))
+
+
+def unpacked(rows: DataFrame, columns: Iterable[str], made: dict[str, Column]) -> DataFrame:
+    """The columns of ``row`` in their order, with those made: in place of one of that name, or after the others."""
+    left = {name.lower(): value for name, value in made.items()}
+    names = {name.lower(): name for name in made}
+    out = [left.pop(c.lower()).alias(names[c.lower()]) if c.lower() in left else F.col("row").getField(c).alias(c) for c in columns]
+    return rows.select(*out, *[value.alias(names[k]) for k, value in left.items()])
+
+
 def with_fields(schema: StructType) -> StructType:
     """A copy to add fields to; ``df.schema`` itself is kept by ``df``."""
     return StructType([*schema.fields])
