@@ -8,11 +8,16 @@ at both its edges agree with those outside.  An encoding in which every two
 neighbours agree is the encoding of the whole: the first merge across a seam
 would otherwise also happen when the two tokens there are encoded alone.
 Decoding concatenates the bytes of tokens in pairs, up the tree.
+
+A piece is cut after the largest power of two of its bytes, so that runs of one
+sign, whose tokens are such powers long, meet at seams that hold at once; equal
+blocks of a long piece are encoded once.
 """
 
 from __future__ import annotations
 
 import base64
+import heapq
 from array import array
 from collections.abc import Iterator
 from pathlib import Path
@@ -23,6 +28,8 @@ from rankflow.llm.common import require, with_fields
 
 #: Entries of each memory that a worker keeps; a full one is emptied.
 MEMORY = 400_000
+#: Bytes of the longest blocks that are remembered within a piece, and blocks that are; parts over which merging needs a heap.
+BLOCK, BLOCKS, SHORT = 4096, 4096, 48
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -41,7 +48,9 @@ class TreeBpe:
         self.seams: dict[tuple[bytes, bytes], bool] = {}
 
     def merged(self, data: bytes) -> list[bytes]:
-        """The tokens of a short byte string: lowest rank first, leftmost among equals."""
+        """The tokens of a byte string: lowest rank first, leftmost among equals."""
+        if len(data) > SHORT:
+            return self._merged_by_heap(data)
         parts, ranks = [data[i : i + 1] for i in range(len(data))], self.ranks
         while len(parts) > 1:
             best, at = None, 0
@@ -54,6 +63,31 @@ class TreeBpe:
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
         return parts
 
+    def _merged_by_heap(self, data: bytes) -> list[bytes]:
+        """As :meth:`merged`: parts are spans linked to their neighbours, and candidate merges wait in a heap."""
+        ranks, n = self.ranks.get, len(data)
+        end, before = list(range(1, n + 1)), list(range(-1, n))
+        queue = [(r, i, i + 2) for i in range(n - 1) if (r := ranks(data[i : i + 2])) is not None]
+        heapq.heapify(queue)
+        while queue:
+            _, i, stop = heapq.heappop(queue)
+            middle = end[i]
+            # out of date if the left part is gone or either part has grown
+            if middle in (0, n) or end[middle] != stop or middle == stop:
+                continue
+            end[i], end[middle] = stop, 0
+            if stop < n:
+                before[stop] = i
+                if (r := ranks(data[i : end[stop]])) is not None:
+                    heapq.heappush(queue, (r, i, end[stop]))
+            if i and (r := ranks(data[before[i] : stop])) is not None:
+                heapq.heappush(queue, (r, before[i], stop))
+        out, i = [], 0
+        while i < n:
+            out.append(data[i : end[i]])
+            i = end[i]
+        return out
+
     def agree(self, a: bytes, b: bytes) -> bool:
         found = self.seams.get((a, b))
         if found is None:
@@ -78,18 +112,20 @@ class TreeBpe:
             if not right_ok:
                 j = min(len(right), 2 * j)
 
-    def tokens(self, data: bytes) -> tuple[bytes, ...]:
-        """The encoding of a byte string, by halves."""
+    def tokens(self, data: bytes, blocks: dict[bytes, tuple[bytes, ...]] | None = None) -> tuple[bytes, ...]:
+        """The encoding of a byte string, by halves; ``blocks`` are those of the piece that are known."""
         if len(data) < 2:
             return (data,) if data else ()
-        found = self.parts.get(data)
+        blocks = {} if blocks is None else blocks
+        known = self.parts if len(data) <= 64 else blocks
+        found = known.get(data) if len(data) <= BLOCK else None
         if found is None:
-            half = len(data) // 2
-            found = self.join(self.tokens(data[:half]), self.tokens(data[half:]))
-            if len(data) <= 64:
-                if len(self.parts) >= MEMORY:
-                    self.parts.clear()
-                self.parts[data] = found
+            half = 1 << (len(data) - 1).bit_length() - 1
+            found = self.join(self.tokens(data[:half], blocks), self.tokens(data[half:], blocks))
+            if len(data) <= BLOCK:
+                if len(known) >= (MEMORY if known is self.parts else BLOCKS):
+                    known.clear()
+                known[data] = found
         return found
 
     def piece(self, text: str) -> tuple[int, ...]:
