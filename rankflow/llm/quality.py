@@ -11,7 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import WS, let, require, windows, words
+from rankflow.llm.common import WS, let, packed, require, unpacked, windows, words
 
 #: Frequent function words of English, French, German and Spanish.
 STOP_WORDS = (
@@ -86,46 +86,50 @@ def _plus(items: Column, k: int) -> Column:
     return F.transform(items, lambda x: x + F.lit(k))
 
 
-def measures(docs: DataFrame, text_col: str = "text") -> DataFrame:
-    """``docs`` with the counts and ratios that rules may name.
+def measured(text: Column) -> Column:
+    """A struct of the counts and ratios that rules may name; each is evaluated once per row.
 
     A null text counts as empty.  Ratios of an empty text are 0.
     """
-    require(docs, [text_col])
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    out = docs.withColumns({"_w": words(text), "_l": F.filter(F.split(text, "\n"), lambda x: F.length(F.btrim(x, F.lit(WS))) > 0)})
-    joined = F.array_join("_w", "")
-    count = {
-        "n_words": F.size("_w"),
-        "word_chars": F.length(joined),
-        "n_symbols": F.length(joined) - F.length(F.translate(joined, "#*$%&|<>", "")),
-        "n_lines": F.size("_l"),
-        "n_dup_lines": F.size("_l") - F.size(F.array_distinct("_l")),
-        "n_repeat_words": _repeat_words(F.col("_w")),
-        "n_letters": F.length(joined) - F.length(F.regexp_replace(joined, r"\p{L}+", "")),
-        "n_stop_words": F.size(F.filter("_w", lambda x: x.isin(*STOP_FORMS))),
-        "n_bullets": F.size(F.filter("_l", lambda x: x.rlike(r"^\s*[-*•‣]"))),
-        "n_ellipses": F.size(F.filter("_l", lambda x: x.rlike(r"(?:\.\.\.|…)\s*$"))),
-    }
-    out = out.withColumns({k: v.cast("long") for k, v in count.items()}).drop("_w", "_l")
-    each = lambda a, b: F.coalesce(F.try_divide(F.col(a), F.col(b)), F.lit(0.0))
-    return out.withColumns({
-        "mean_word_length": each("word_chars", "n_words"),
-        "symbol_ratio": each("n_symbols", "n_words"),
-        "letter_ratio": each("n_letters", "word_chars"),
-        "stop_word_ratio": each("n_stop_words", "n_words"),
-        "dup_line_ratio": each("n_dup_lines", "n_lines"),
-        "repeat_word_ratio": each("n_repeat_words", "n_words"),
-        "bullet_line_ratio": each("n_bullets", "n_lines"),
-        "ellipsis_line_ratio": each("n_ellipses", "n_lines"),
-    })
-
-
-def compile_rules(rules: tuple[Rule, ...] = RULES) -> Column:
-    """The names of the rules that a row of :func:`measures` breaks, in table order."""
+
+    def counts(b: Column) -> Column:
+        w, lines, joined = b["w"], b["l"], b["j"]
+        count = {
+            "n_words": F.size(w),
+            "word_chars": F.length(joined),
+            "n_symbols": F.length(joined) - F.length(F.translate(joined, "#*$%&|<>", "")),
+            "n_lines": F.size(lines),
+            "n_dup_lines": F.size(lines) - F.size(F.array_distinct(lines)),
+            "n_repeat_words": _repeat_words(w),
+            "n_letters": F.length(joined) - F.length(F.regexp_replace(joined, r"\p{L}+", "")),
+            "n_stop_words": F.size(F.filter(w, lambda x: x.isin(*STOP_FORMS))),
+            "n_bullets": F.size(F.filter(lines, lambda x: x.rlike(r"^\s*[-*•‣]"))),
+            "n_ellipses": F.size(F.filter(lines, lambda x: x.rlike(r"(?:\.\.\.|…)\s*$"))),
+        }
+        return F.struct(*[v.cast("long").alias(k) for k, v in count.items()])
+
+    def ratios(c: Column) -> Column:
+        each = lambda a, b: F.coalesce(F.try_divide(c[a], c[b]), F.lit(0.0))
+        return F.struct(*[c[k].alias(k) for k in COUNTS], *[each(a, b).alias(k) for k, (a, b) in RATIOS.items()])
+
+    text = F.coalesce(text, F.lit(""))
+    lines = F.filter(F.split(text, "\n"), lambda x: F.length(F.btrim(x, F.lit(WS))) > 0)
+    parts = let(words(text), lambda w: F.struct(w.alias("w"), F.array_join(w, "").alias("j"), lines.alias("l")))
+    return let(let(parts, counts), ratios)
+
+
+COUNTS = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words", "n_letters", "n_stop_words", "n_bullets", "n_ellipses")
+RATIOS = {
+    "mean_word_length": ("word_chars", "n_words"), "symbol_ratio": ("n_symbols", "n_words"), "letter_ratio": ("n_letters", "word_chars"), "stop_word_ratio": ("n_stop_words", "n_words"),
+    "dup_line_ratio": ("n_dup_lines", "n_lines"), "repeat_word_ratio": ("n_repeat_words", "n_words"), "bullet_line_ratio": ("n_bullets", "n_lines"), "ellipsis_line_ratio": ("n_ellipses", "n_lines"),
+}
+
+
+def compile_rules(measures: Column, rules: tuple[Rule, ...] = RULES) -> Column:
+    """The names of the rules that a struct of :func:`measured` breaks, in table order."""
     broken = []
     for rule in rules:
-        value = F.col(rule.measure)
+        value = measures[rule.measure]
         fails = F.lit(False)
         if rule.low is not None:
             fails = fails | (value < rule.low)
@@ -135,21 +139,30 @@ def compile_rules(rules: tuple[Rule, ...] = RULES) -> Column:
     return F.array_compact(F.array(*broken))
 
 
+def judged(text: Column, rules: tuple[Rule, ...] = RULES) -> Column:
+    """A struct of measures ``m``, ``base_failed``, ``broken_rules`` and ``kept``."""
+
+    def verdict(m: Column) -> Column:
+        base = (m["n_words"] < 50) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
+        return F.struct(m.alias("m"), base.alias("base_failed"), compile_rules(m, rules).alias("broken_rules"))
+
+    kept = lambda v: F.struct(v["m"].alias("m"), v["base_failed"].alias("base_failed"), v["broken_rules"].alias("broken_rules"), (~v["base_failed"] & (F.size(v["broken_rules"]) == 0)).alias("kept"))
+    return let(let(measured(text), verdict), kept)
+
+
 def quality_report(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
-    """``docs`` with measures, ``broken_rules``, ``base_failed`` and ``kept``.
+    """``docs`` with measures, ``base_failed``, ``broken_rules`` and ``kept``.
 
     Empty tables give an empty result; repeated rows are judged alike; columns of
-    the input that carry the name of a measure are replaced.
+    the input that carry one of these names are replaced.
     """
-    made = measures(docs, text_col)
-    base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return made.withColumns({"base_failed": base, "broken_rules": compile_rules(rules)}).withColumn(
-        "kept", ~F.col("base_failed") & (F.size("broken_rules") == 0)
-    )
-
-
-def keep_quality(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """The rows of ``docs`` that pass, with its columns."""
-    judged = quality_report(docs.select("*", F.struct("*").alias("_row")), rules)
-    # beside a random number the verdict is not moved into the filter, which would evaluate each measure once per mention
-    return judged.withColumn("_pin", F.rand(0)).where("kept AND _pin >= 0").select("_row.*")
+    require(docs, [text_col])
+    out = packed(docs).withColumn("j", judged(F.col(f"row.{text_col}"), rules))
+    made = {k: F.col(f"j.m.{k}") for k in (*COUNTS, *RATIOS)} | {k: F.col(f"j.{k}") for k in ("base_failed", "broken_rules", "kept")}
+    return unpacked(out, docs.columns, made)
+
+
+def keep_quality(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that pass, with its columns; the verdict is one expression in the filter."""
+    require(docs, [text_col])
+    return docs.where(judged(F.col(text_col), rules)["kept"])
