@@ -6,15 +6,19 @@ the two halves of the list, and put back into the format they had.  Check digits
 are computed anew, so a pseudonym is as valid as what it stands for; equal
 values get equal pseudonyms in all documents, and :func:`reveal` undoes it.
 
-Everything happens within a row, in built-in expressions: no shuffle.
+Everything happens within a row, in built-in expressions: no shuffle.  The amounts
+that the network shifts by are message authentication codes (HMAC-SHA256).  The key
+is a local table of one row, so that no plan, event log or user interface shows it.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import hashlib
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import let, require
+from rankflow.llm.common import let, packed, require, unpacked
 
 ROUNDS = 8
 #: Days from 1900-01-01 to 2099-12-31, as a product of two radices.
@@ -66,17 +70,37 @@ def _fill(s: Column, among: str, chars: Column) -> Column:
     return F.array_join(F.zip_with(F.split(s, among, -1), F.concat(chars, F.array(F.lit(""))), lambda a, b: F.concat(a, b)), "")
 
 
-def _feistel(values: Column, radices: Column, kind: Column, key: str, undo: bool) -> Column:
+def _key_table(spark: SparkSession, key: str) -> DataFrame:
+    """``inner, outer``: the two pads of the key, as a local relation, whose values plans don't show."""
+    raw = key.encode()
+    raw = (hashlib.sha256(raw).digest() if len(raw) > 64 else raw).ljust(64, b"\0")
+    pads = [bytes(x ^ pad for x in raw) for pad in (0x36, 0x5C)]
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    values = gateway.new_array(jvm.java.lang.Object, 2)
+    values[0], values[1] = pads
+    rows = jvm.java.util.ArrayList()
+    rows.add(jvm.org.apache.spark.sql.RowFactory.create(values))
+    schema = jvm.org.apache.spark.sql.types.StructType.fromDDL("inner binary not null, outer binary not null")
+    return DataFrame(spark._jsparkSession.createDataFrame(rows, schema), spark)
+
+
+def _code(message: Column) -> Column:
+    """The message authentication code, in hexadecimal digits."""
+    own = F.unhex(F.sha2(F.concat(F.col("inner"), message.cast("binary")), 256))
+    return F.sha2(F.concat(F.col("outer"), own), 256)
+
+
+def _feistel(values: Column, radices: Column, kind: Column, undo: bool) -> Column:
     """The list permuted: in turn, each half is shifted by amounts that depend on the other."""
     half = F.floor(F.size(values) / 2).cast("int")
     rest = F.size(values) - half
     left, right = F.slice(radices, F.lit(1), half), F.slice(radices, half + 1, rest)
 
     def shifted(x: Column, radix: Column, other: Column, k: Column) -> Column:
-        seed = F.concat_ws("|", F.lit(key), kind, k.cast("string"), F.array_join(other.cast("array<string>"), ","))
+        seed = F.concat_ws("|", kind, k.cast("string"), F.array_join(other.cast("array<string>"), ","))
 
         def one(v: Column, i: Column) -> Column:
-            amount = F.conv(F.substring(F.sha2(F.concat_ws("|", seed, i.cast("string")), 256), 1, 12), 16, 10).cast("bigint")
+            amount = F.conv(F.substring(_code(F.concat_ws("|", seed, i.cast("string"))), 1, 12), 16, 10).cast("bigint")
             return F.pmod(v - amount if undo else v + amount, radix[i]).cast("int")
 
         return F.transform(x, one)
@@ -117,9 +141,9 @@ def _day(s: Column) -> Column:
     return F.date_diff(iso.try_cast("date"), F.lit(FIRST_DAY).cast("date"))
 
 
-def _swap(s: Column, kind: Column, key: str, undo: bool) -> Column:
+def _swap(s: Column, kind: Column, undo: bool) -> Column:
     """The pseudonym of one validated match."""
-    turn = lambda v, r: _feistel(v, r, kind, key, undo)
+    turn = lambda v, r: _feistel(v, r, kind, undo)
     text = lambda v: v.cast("array<string>")
 
     def letters(v: str | Column, among: str) -> Column:
@@ -185,15 +209,17 @@ def _as_date(day: Column, like: Column) -> Column:
 
 def _replaced(docs: DataFrame, key: str, text_col: str, undo: bool) -> DataFrame:
     require(docs, [text_col])
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    found = F.transform(_chars(text, PATTERN), lambda m: F.struct(m.alias("value"), kind_of(m).alias("kind")))
-    made = F.transform("_found", lambda x: F.when(x["kind"].isNull(), x["value"]).otherwise(_swap(x["value"], x["kind"], key, undo)))
+    value = F.col(f"row.{text_col}")
+    text = F.coalesce(value, F.lit(""))
+    matches = F.transform(_chars(text, PATTERN), lambda m: F.struct(m.alias("value"), kind_of(m).alias("kind")))
+    rows = packed(docs).withColumn("found", F.when(text.rlike("[0-9@]"), matches).otherwise(F.array().cast("array<struct<value:string,kind:string>>")))
+    rows = rows.crossJoin(F.broadcast(_key_table(docs.sparkSession, key)))  # one row
+    made = F.transform("found", lambda x: F.when(x["kind"].isNull(), x["value"]).otherwise(_swap(x["value"], x["kind"], undo)))
     joined = F.zip_with(F.split(text, PATTERN, -1), F.concat(made, F.array(F.lit(""))), lambda a, b: F.concat(a, b))
-    out = docs.withColumn("_found", F.when(text.rlike("[0-9@]"), found).otherwise(F.array().cast("array<struct<value:string,kind:string>>")))
-    return out.withColumns({
-        "pii_kinds": F.array_compact(F.transform("_found", lambda x: x["kind"])),
-        text_col: F.when(F.size("_found") == 0, F.col(text_col)).otherwise(F.array_join(joined, "")),
-    }).drop("_found")
+    return unpacked(rows, docs.columns, {
+        "pii_kinds": F.array_compact(F.transform("found", lambda x: x["kind"])),
+        text_col: F.when(F.size("found") == 0, value).otherwise(F.array_join(joined, "")),
+    })
 
 
 def pseudonymise(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
