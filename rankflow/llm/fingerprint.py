@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from rankflow.llm.common import let, require, windows, words
+from rankflow.llm.common import let, packed, require, unpacked, windows, words
 
 BINS_LOG2 = 8
 BITS = 4
@@ -106,32 +106,36 @@ def with_next(docs: DataFrame, carried: list[str], id_col: str = "doc_id") -> Da
     by none.  Rows move once, to groups of neighbouring ids that are bounded by
     about the square root of their number, whatever the ids are.  A group also gets
     the row that follows its last one.  Rows of one id stand in order of ``carried``.
+    Columns of the input that have a name of the new ones are replaced.
     """
-    known = docs.where(F.col(id_col).isNotNull())
-    n, low, high = known.agg(F.count(F.lit(1)), F.min(id_col), F.max(id_col)).first()
-    nothing = [F.lit(None).cast(docs.schema[c].dataType).alias(f"next_{c}") for c in carried]
+    require(docs, [id_col, *carried])
+    key = F.col(f"row.{id_col}")
+    known, lost = packed(docs.where(F.col(id_col).isNotNull())), packed(docs.where(F.col(id_col).isNull()))
+    n, low, high = known.agg(F.count(F.lit(1)), F.min(key), F.max(key)).first()
+    nothing = {f"next_{c}": F.lit(None).cast(docs.schema[c].dataType) for c in carried}
     if not n:
-        return docs.select("*", *nothing)
+        return unpacked(packed(docs), docs.columns, nothing)
     bits = max(8, math.ceil(math.log2(n) / 2))
-    group = F.shiftright(F.col(id_col).cast("bigint"), bits)
-    tops = known.groupBy(group.alias("k")).agg(F.max(id_col).alias("top"))
+    group = F.shiftright(key.cast("bigint"), bits)
+    tops = known.groupBy(group.alias("k")).agg(F.max(key).alias("top"))
     before = _before(tops.select("k"), bits, low >> bits, high >> bits)
     last = F.coalesce("p", F.lit(high >> bits).cast("bigint"))
-    guests = before.select(F.col("k").alias("_to"), last.alias("p")).join(tops.select(F.col("k").alias("p"), F.col("top").alias("_guest")), "p").select("_to", "_guest")
+    guests = before.select(F.col("k").alias("to"), last.alias("p")).join(tops.select(F.col("k").alias("p"), F.col("top").alias("guest")), "p").select("to", "guest")
     few = guests.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    sent = known.join(F.broadcast(guests) if few else guests, F.col(id_col) == F.col("_guest"), "left")
+    sent = known.join(F.broadcast(guests) if few else guests, key == F.col("guest"), "left")
     # a guest comes once, though its group may be its own
-    to = F.array_compact(F.array(F.struct(group.alias("g"), F.lit(0).alias("late")), F.when(F.col("_guest").isNotNull(), F.struct(F.col("_to").alias("g"), F.lit(1).alias("late")))))
-    sent = sent.select(*docs.columns, F.explode(to).alias("_at")).withColumns({"_g": F.col("_at.g"), "_late": F.col("_at.late")}).drop("_at")
-    order = Window.partitionBy("_g").orderBy("_late", F.col(id_col).desc(), *carried)
-    out = sent.withColumns({f"next_{c}": F.lead(c).over(order) for c in carried}).where(F.col("_late") == 0).drop("_g", "_late")
-    return out.unionByName(docs.where(F.col(id_col).isNull()).select("*", *nothing))
+    to = F.array_compact(F.array(F.struct(group.alias("g"), F.lit(0).alias("late")), F.when(F.col("guest").isNotNull(), F.struct(F.col("to").alias("g"), F.lit(1).alias("late")))))
+    sent = sent.select("row", F.explode(to).alias("at"))
+    order = Window.partitionBy("at.g").orderBy("at.late", key.desc(), *[F.col(f"row.{c}") for c in carried])
+    out = sent.select("row", F.col("at.late").alias("late"), *[F.lead(f"row.{c}").over(order).alias(f"n{k}") for k, c in enumerate(carried)]).where("late = 0")
+    followed = unpacked(out, docs.columns, {f"next_{c}": F.col(f"n{k}") for k, c in enumerate(carried)})
+    return followed.unionByName(unpacked(lost, docs.columns, nothing))
 
 
 def fingerprint_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with ``fingerprint``; a null text counts as empty.  Replaces a column of that name."""
     require(docs, [id_col, text_col])
-    return docs.withColumn("fingerprint", fingerprint(F.coalesce(F.col(text_col), F.lit(""))))
+    return unpacked(packed(docs), docs.columns, {"fingerprint": fingerprint(F.coalesce(F.col(f"row.{text_col}"), F.lit("")))})
 
 
 def compare_with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
