@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import heapq
 import math
+import os
 import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
@@ -18,16 +19,16 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from rankflow.llm.common import require, with_fields
 
 #: Letters that look like Latin ones, and signs and digits that stand for letters.
 HOMOGLYPHS = dict(zip("аеорсухіјѕԁһӏьαορυιντкмтвнғ", "aeopcyxijsdhlbaopuivtkmtbhf", strict=True))
 SUBSTITUTES = dict(zip("0134578@$!|", "oieastbasil", strict=True))
-#: Labelled texts learned from, of each label at most.
-SAMPLE_PER_LABEL = 2000
-MAX_TERMS = 2000
-SHORTEST, LONGEST = 4, 14
+#: Labelled texts learned from, of each label at most, and their length in characters at most; longer ones are scored, but not learned from.
+SAMPLE_PER_LABEL, SAMPLE_CHARS = 2000, 20_000
+SHORTEST = 4
 #: A term occurs in so many texts labelled 1, with such a log-odds weight, and such a weight of texts that others leave, or more.
 LEAST_TEXTS, LEAST_WEIGHT, LEAST_GAIN = 3, 1.5, 12.0
 THRESHOLD = 0.3
@@ -81,20 +82,35 @@ class Lexicon:
                     safe.append((start, last + 1))
             elif start not in best or best[start][1] < w:
                 best[start] = (last + 1, w)
-        return [(s, e, w) for s, (e, w) in sorted(best.items()) if not any(a <= s and e <= b for a, b in safe)]
+        out, reach, k = [], -1, 0
+        safe.sort()
+        for s, (e, w) in sorted(best.items()):
+            while k < len(safe) and safe[k][0] <= s:
+                reach = max(reach, safe[k][1])
+                k += 1
+            if e > reach:
+                out.append((s, e, w))
+        return out
 
     def features(self, folded: str, automaton) -> tuple[float, float]:
         """Logarithm of the weight found, and that weight for each hundred words."""
         total = sum(w for *_, w in self.hits(folded, automaton))
         if not total:
             return 0.0, 0.0
-        return math.log1p(total), math.log1p(100 * total / max(1, folded.count(" ") + 1))
+        return math.log1p(total), math.log1p(100 * total / max(1, len(folded.split())))
 
     def score(self, text: str, automaton) -> float:
         a, b = self.features(fold(text), automaton)
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, self.curve[0] + self.curve[1] * a + self.curve[2] * b))))
 
 
+def shared_openings(words: set[str]) -> set[str]:
+    """The words, and the openings at which some of them part: of all openings of the same words the longest."""
+    ordered = sorted(words)
+    both = (os.path.commonprefix(pair) for pair in zip(ordered, ordered[1:], strict=False))
+    return {p for p in (*ordered, *both) if len(p) >= SHORTEST}
+
+
 def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Lexicon:
     """A lexicon from texts and labels.
 
@@ -112,14 +128,17 @@ def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Le
     words = {0: Counter(), 1: Counter()}
     pairs = {0: Counter(), 1: Counter()}
     texts = [(_WORD.findall(t), y) for t, y in rows]
+    openings = shared_openings({x for w, y in texts if y for x in w})
+    lengths = sorted(set(map(len, openings)))
+    opened = lambda x, among: [x[:k] for k in lengths if k <= len(x) and x[:k] in among]
     for w, y in texts:
-        words[y].update({p for x in set(w) for p in {x, *(x[:k] for k in range(SHORTEST, min(len(x), LONGEST)))}})
+        words[y].update({p for x in set(w) for p in opened(x, openings)})
     weight = lambda t: math.log((words[1][t] + 0.5) / (n[1] + 1)) - math.log((words[0][t] + 0.5) / (n[0] + 1))
-    usual = {t: w for t, k in words[1].items() if k >= LEAST_TEXTS and len(t) >= SHORTEST and (w := weight(t)) >= LEAST_WEIGHT}
+    usual = {t: w for t, k in words[1].items() if k >= LEAST_TEXTS and (w := weight(t)) >= LEAST_WEIGHT}
     found: dict[str, list[int]] = {t: [] for t in usual}
     for i, (w, y) in enumerate(texts):
         if y:
-            for t in {x[:k] for x in set(w) for k in range(SHORTEST, len(x) + 1)} & usual.keys():
+            for t in {p for x in set(w) for p in opened(x, usual)}:
                 found[t].append(i)
     # Terms are taken one by one; a text counts half as much each time that a term of it is taken.
     counts = np.ones(len(texts))
@@ -128,19 +147,18 @@ def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Le
     queue = [(-gain(t), -len(t), t) for t in usual]
     heapq.heapify(queue)
     terms: dict[str, float] = {}
-    while queue and len(terms) < MAX_TERMS:
+    while queue:
         _, size, t = heapq.heappop(queue)
         now = gain(t)
-        if now < LEAST_GAIN or any(terms.get(t[:k], 0) >= usual[t] - 0.1 for k in range(SHORTEST, len(t))):
+        if now < LEAST_GAIN or any(terms[p] >= usual[t] - 0.1 for p in opened(t, terms) if p != t):
             continue
         if queue and now < -queue[0][0]:
             heapq.heappush(queue, (-now, size, t))
             continue
         terms[t] = usual[t]
         counts[at[t]] /= 2
-    opens = lambda x: any(x[:k] in terms for k in range(SHORTEST, len(x) + 1))
     for w, y in texts:
-        pairs[y].update({f"{a} {b}" for a, b in zip(w, w[1:], strict=False) if opens(a) or opens(b)})
+        pairs[y].update({f"{a} {b}" for a, b in zip(w, w[1:], strict=False) if opened(a, terms) or opened(b, terms)})
     learned = [p for p, k in pairs[0].items() if k >= 3 and not pairs[1][p]]
     out = Lexicon(terms, tuple(sorted({*exceptions, *learned})))
     auto = out.automaton()
@@ -157,15 +175,16 @@ def fit(rows: Iterable[tuple[str, int]], exceptions: tuple[str, ...] = ()) -> Le
 
 
 def learn(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_PER_LABEL, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> Lexicon:
-    """Fit on at most ``per_label`` labelled texts of each label, the first by a hash of the id."""
+    """Fit on at most ``per_label`` labelled texts of each label, of at most ``SAMPLE_CHARS`` characters, the first by a hash of the id."""
+    require(docs, [id_col, text_col])
     require(labels, [id_col, label_col])
-    known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull())
-    chosen = None
-    for y in (0, 1):
-        some = known.where(F.col(label_col) == y).select(F.col(id_col).alias("_id"), F.col(label_col).alias("_y")).orderBy(F.xxhash64("_id"), "_id").limit(per_label)
-        chosen = some if chosen is None else chosen.unionByName(some)
-    rows = docs.join(F.broadcast(chosen), F.col(id_col) == F.col("_id")).select("_id", text_col, "_y").collect()
-    return fit([(r[1], r[2]) for r in sorted(rows, key=lambda r: (r[0], r[2], r[1] or ""))])
+    known = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).alias("y"))
+    place = lambda *more: F.row_number().over(Window.partitionBy("y").orderBy(F.xxhash64("id"), "id", *more))
+    chosen = known.withColumn("place", place()).where(F.col("place") <= per_label).select("id", "y")
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("t")).join(F.broadcast(chosen), "id").where((F.char_length("t") <= SAMPLE_CHARS) | F.col("t").isNull())
+    # ids may repeat in either table
+    rows = texts.withColumn("place", place("t")).where(F.col("place") <= per_label).collect()
+    return fit([(r["t"], r["y"]) for r in sorted(rows, key=lambda r: (r["id"], r["y"], r["t"] or ""))])
 
 
 def score_documents(docs: DataFrame, lexicon: Lexicon, text_col: str = "text") -> DataFrame:
