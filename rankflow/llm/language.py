@@ -19,7 +19,6 @@ DIMENSIONS = 1024
 GRAM = 3
 #: Texts learned from, for each language, in expectation.
 SAMPLE_PER_LANGUAGE = 1000
-MAX_LANGUAGES = 1000
 #: Bound vectors that a worker keeps; a full memory is emptied.
 MEMORY = 20_000
 SCALE = 1 << 24
@@ -96,21 +95,15 @@ def learn(docs: DataFrame, per_language: int = SAMPLE_PER_LANGUAGE, id_col: str
     """Language to the sum of its sampled texts' unit vectors, as whole numbers.
 
     The sample is bounded: about ``per_language`` rows of each language, by a hash
-    of the id.  Vectors are summed on the executors; only a row for each language
-    and dimension comes back.
+    of the id.  Vectors are summed on the executors; what comes back, and is sent to
+    the workers, is a number for each language and dimension (8 KB a language).
     """
     require(docs, [id_col, text_col, lang_col])
     docs = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
-    counts = {r["lang"]: r["n"] for r in docs.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(MAX_LANGUAGES + 1).collect()}
-    if len(counts) > MAX_LANGUAGES:
-        raise ValueError(f"over {MAX_LANGUAGES} languages")
-    if not counts:
-        return {}
     place = F.pmod(F.xxhash64("id"), F.lit(1 << 20))
-    share = F.lit(0)
-    for lang, n in counts.items():
-        share = F.when(F.col("lang") == lang, min(1 << 20, max(1, (per_language << 20) // n))).otherwise(share)
-    sample = docs.where(place < share).select("lang", "text")
+    counts = docs.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
+    shares = counts.select(F.col("lang").alias("known"), F.greatest(F.lit(1), F.least(F.lit(1 << 20), F.floor(F.lit(per_language << 20) / F.col("n")))).alias("share"))
+    sample = docs.join(shares, F.col("lang") == F.col("known")).where(place < F.col("share")).select("lang", "text")
 
     def sums(batches: Iterator) -> Iterator:
         import pyarrow as pa
