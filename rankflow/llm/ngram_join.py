@@ -35,7 +35,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rankflow.llm.common import WS, discard, require, written
+from rankflow.llm.common import WS, discard, held, packed, require, unpacked, written
 
 SHINGLE = 3
 #: 100 * overlap >= 90 * union.
@@ -216,7 +216,7 @@ def components(links: DataFrame) -> DataFrame:
         labels = new
         if done:
             discard(both)
-            return labels.select("v", "c")
+            return held(labels.select("v", "c"), labels)
 
 
 def _bounded(pairs: DataFrame, rows: DataFrame, num: int, den: int) -> DataFrame:
@@ -327,8 +327,9 @@ def _link_classes(docs: DataFrame, n: int, num: int, den: int, complete: bool) -
         if links.isEmpty():
             return False
         found.append(links)
-        before, labels = labels, written(components(reduce(DataFrame.union, found)), "components")
-        discard(before)
+        grown = components(reduce(DataFrame.union, found))
+        before, labels = labels, written(grown, "components")
+        discard(before, grown)
         return True
 
     pair = [F.least("x.rep", "y.rep").alias("a"), F.greatest("x.rep", "y.rep").alias("b")]
@@ -342,26 +343,21 @@ def _link_classes(docs: DataFrame, n: int, num: int, den: int, complete: bool) -
         if not more:
             break
     now = written(labelled(), "columns-now")
-    still = now if complete else now.join(written(open_columns(now), "open"), "h")
+    open_now = None if complete else written(open_columns(now), "open")
+    still = now if open_now is None else now.join(open_now, "h")
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("rep"), blocks).cast("int")
     every = F.explode(F.sequence(F.lit(0), blocks - 1))
     x = still.select("h", "rep", "n", "pos", "c", own.alias("i"), every.alias("j"))
     y = still.select("h", "rep", "n", "pos", "c", every.alias("i"), own.alias("j"))
     test(x.alias("x").join(y.alias("y"), ["h", "i", "j"]).where(apart & (F.col("x.rep") < F.col("y.rep"))).select(*pair))
-    discard(now)
-    discard(shapes)
-    discard(columns)
-    for t in tested:
-        discard(t)
+    discard(now, open_now, shapes, columns, *tested)
     empty = docs.sparkSession.range(0).select(F.col("id").alias("a"), F.col("id").alias("b"))
-    links = reduce(DataFrame.union, found) if found else empty
-    if labels is not None:
-        joined = classes.join(labels.withColumnRenamed("v", "rep"), "rep", "left")
-        classes = written(joined.select("d1", "d2", "n_shingles", "rep", F.coalesce("c", "rep").alias("component_id")), "classes")
-    else:
-        classes = classes.withColumn("component_id", F.col("rep"))
-    return signed, classes, links
+    links = held(reduce(DataFrame.union, found), *found) if found else empty
+    joined = classes.withColumn("c", F.col("rep")) if labels is None else classes.join(labels.withColumnRenamed("v", "rep"), "rep", "left")
+    named = written(joined.select("d1", "d2", "n_shingles", "rep", F.coalesce("c", "rep").alias("component_id")), "classes")
+    discard(classes, labels)
+    return signed, named, links
 
 
 def linked_components(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -373,11 +369,12 @@ def linked_components(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, i
     """
     require(docs, [id_col, text_col])
     plain = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
-    signed, classes, _ = link_classes(plain, n, threshold)
+    signed, classes, links = link_classes(plain, n, threshold)
+    discard(links)
     out = signed.drop("head", "histogram").join(classes, ["d1", "d2", "n_shingles"], "left")
     alone = (F.col("n_shingles") == 0) | F.col("id").isNull()
     own = lambda c: F.when(alone, F.col("id")).otherwise(F.col(c))
-    return out.select(F.col("id").alias(id_col), "n_shingles", own("rep").alias("class_id"), own("component_id").alias("component_id"))
+    return held(out.select(F.col("id").alias(id_col), "n_shingles", own("rep").alias("class_id"), own("component_id").alias("component_id")), signed, classes)
 
 
 def link_counts(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -398,11 +395,13 @@ def link_counts(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] =
     out = signed.drop("head", "histogram").join(counted, key, "left")
     alone = (F.col("n_shingles") == 0) | F.col("id").isNull()
     own = lambda c, other: F.when(alone, other).otherwise(F.col(c))
-    return out.select(F.col("id").alias(id_col), "n_shingles", own("rep", F.col("id")).alias("class_id"), own("component_id", F.col("id")).alias("component_id"), own("n_links", F.lit(0)).alias("n_links"))
+    made = out.select(F.col("id").alias(id_col), "n_shingles", own("rep", F.col("id")).alias("class_id"), own("component_id", F.col("id")).alias("component_id"), own("n_links", F.lit(0)).alias("n_links"))
+    return held(made, signed, classes, links, sizes)
 
 
 def keep_one(docs: DataFrame, n: int = SHINGLE, threshold: tuple[int, int] = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each component: that of the least id.  Rows without words or id stay."""
     groups = linked_components(docs, n, threshold, id_col, text_col)
-    lost = groups.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("_lost"))
-    return docs.join(lost, F.col(id_col) == F.col("_lost"), "left_anti")
+    lost = groups.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("lost"))
+    rows = packed(docs)
+    return held(unpacked(rows.join(lost, F.col(f"row.{id_col}") == F.col("lost"), "left_anti"), docs.columns, {}), groups)
