@@ -31,7 +31,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 def held(df: DataFrame, *tables: DataFrame | None) -> DataFrame:
     """``df``, which still reads tables made by :func:`written`: they go with it when it is discarded."""
-    df.scratch_tables = [*getattr(df, "scratch_tables", []), *(t for t in tables if t is not None)]
+    df.scratch_tables = [*getattr(df, "scratch_tables", []), *(t for t in tables if t is not None and t is not df)]
     return df
 
 
