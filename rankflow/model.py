@@ -19,13 +19,23 @@ def require_columns(df: DataFrame, columns: Iterable[str]) -> None:
 
 @dataclass(frozen=True)
 class Graph:
-    """A snapshot: ``vertices(id)``, ``edges(src, dst)`` without repeats, and ``edges_w(src, dst, w)`` with ``w`` one over the out-degree."""
+    """A snapshot: ``vertices(id)``, ``edges(src, dst)`` without repeats, and ``edges_w(src, dst, w)`` with ``w`` one over the out-degree.
+
+    ``in_w`` holds the rows of ``edges_w``, laid out by ``dst``.  ``patches`` counts the
+    batches that lie over the written layouts.
+    """
 
     vertices: DataFrame
     edges: DataFrame
     edges_w: DataFrame
     n: int
     dead_ends: str = "selfloop"
+    in_w: DataFrame | None = None
+    patches: int = 0
+
+    @property
+    def by_dst(self) -> DataFrame:
+        return self.edges_w if self.in_w is None else self.in_w
 
     @property
     def id_type(self):
@@ -107,3 +117,8 @@ class RankResult:
     @property
     def vertex_updates(self) -> int:
         return sum(t["affected"] for t in self.telemetry)
+
+    @property
+    def edges_read(self) -> int:
+        """In-edges that were read in all rounds."""
+        return sum(t.get("in_edges", 0) for t in self.telemetry)

@@ -17,14 +17,11 @@ def incoming(edges_w: DataFrame, ranks: DataFrame) -> DataFrame:
     return joined.groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("rank") * F.col("w")).alias("s"))
 
 
-def pull_step(graph: Graph, ranks: DataFrame, alpha: float, targets: DataFrame | None = None, edges_w: DataFrame | None = None) -> DataFrame:
-    """``(id, rank)`` after one step, for all vertices or for ``targets(id)`` only.
-
-    For targets, only their in-edges are joined; ``edges_w`` may hold these already.
-    """
-    edges_w = graph.edges_w if edges_w is None else edges_w
+def pull_step(graph: Graph, ranks: DataFrame, alpha: float, targets: DataFrame | None = None) -> DataFrame:
+    """``(id, rank)`` after one step, for all vertices or for ``targets(id)`` only: of these, only in-edges are joined."""
+    edges_w = graph.edges_w
     if targets is not None:
-        edges_w = edges_w.join(targets.select(F.col("id").alias("dst")), "dst", "left_semi")
+        edges_w = graph.by_dst.join(targets.select(F.col("id").alias("dst")), "dst", "left_semi")
     base = graph.vertices if targets is None else targets.select("id")
     out = base.join(incoming(edges_w, ranks), "id", "left")
     rank = (1.0 - alpha) / graph.n + alpha * F.coalesce("s", F.lit(0.0))

@@ -6,12 +6,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankflow.model import Batch, Graph
+from rankflow.operators import snapshot
 from rankflow.storage import discard, written
 
 
-def out_neighbours(edges: DataFrame, ids: DataFrame) -> DataFrame:
-    """Distinct ends of the edges that leave ``ids(id)``."""
-    return edges.join(ids.select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct()
+def out_neighbours(edges: DataFrame, ids: DataFrame, few: list | None = None) -> DataFrame:
+    """Distinct ends of the edges that leave ``ids(id)``; ``few`` are these if they are few."""
+    return snapshot.touching(edges, "src", ids, few, "id").select(F.col("dst").alias("id")).distinct()
 
 
 def sources(batch: Batch) -> DataFrame:
@@ -24,7 +25,8 @@ def initial(new: Graph, batch: Batch) -> DataFrame:
     The old edges are among the new ones and the deleted ones, so one scan does.
     """
     both = new.edges.select("src", "dst").union(batch.dels.select("src", "dst"))
-    return out_neighbours(both, sources(batch))
+    start = sources(batch)
+    return out_neighbours(both, start, snapshot.listed(start))
 
 
 def expand(new: Graph, movers: DataFrame) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankflow.model import Batch, Graph, require_columns
+from rankflow.storage import bucketed, discard, written
 
 
 def clean_edges(edges: DataFrame) -> DataFrame:
@@ -53,12 +54,24 @@ def prepare(edges: DataFrame, vertices: DataFrame | None = None, dead: str = "se
     return Graph(vertices, edges, weighted(edges), vertices.count(), dead)
 
 
+#: Edges for which a layout has a bucket more; there are no more buckets than shuffle partitions.
+BUCKET = 20_000
+
+
+def buckets_of(spark: SparkSession, rows: int) -> int:
+    return max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), rows // BUCKET))
+
+
 def materialised(graph: Graph) -> Graph:
-    """The graph with its tables written, so that iterations read them and don't build them anew."""
-    from rankflow.storage import written
+    """The graph with its tables written: vertices by id, edges by ``src`` for full steps and marks, and by ``dst`` for pulls of few vertices.
 
-    vertices, edges = written(graph.vertices, "vertices"), written(graph.edges, "edges")
-    return Graph(vertices, edges, written(weighted(edges), "edges-w"), graph.n, graph.dead_ends)
+    Full steps join ranks and edges bucket by bucket, so that edges stay where they are.
+    """
+    plain = written(graph.edges_w if graph.patches else weighted(graph.edges), "edges")
+    k = buckets_of(graph.vertices.sparkSession, plain.count())
+    edges_w, in_w = bucketed(plain, "out", "src", k), bucketed(plain, "in", "dst", k)
+    discard(plain)
+    return Graph(bucketed(graph.vertices, "vertices", "id", k), edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w)
 
 
 def normalize(batch: Batch, edges: DataFrame, vertices: DataFrame | None = None) -> Batch:
@@ -85,11 +98,41 @@ def apply_batch(edges: DataFrame, batch: Batch, vertices: DataFrame | None = Non
     return out if vertices is None else self_loops(out, vertices)
 
 
+#: Batches that may lie over the written layouts; one more, and they are written anew.
+PATCHES = 8
+
+
 def after(graph: Graph, batch: Batch) -> Graph:
-    """The next snapshot, on the same vertices."""
-    loops = graph.vertices if graph.dead_ends == "selfloop" else None
-    edges = apply_batch(graph.edges, batch, loops)
-    return Graph(graph.vertices, edges, weighted(edges), graph.n, graph.dead_ends)
+    """The next snapshot, on the same vertices: the layouts as they are, but for the sources that the batch names.
+
+    Only the out-edges of these are read and weighed anew; they are the one thing written.
+    """
+    if graph.patches >= PATCHES:
+        graph = materialised(graph)
+    changed = written(batch.changed().select("src").distinct(), "changed")
+    few = listed(changed, "src")
+    kept = touching(graph.edges, "src", changed, few).join(batch.dels, ["src", "dst"], "left_anti")
+    patch = written(weighted(kept.union(batch.ins.select("src", "dst")).distinct()), "patch")
+    rest = lambda df: df.join(changed, "src", "left_anti").select("src", "dst", "w").union(patch)
+    edges_w, in_w = rest(graph.edges_w), rest(graph.by_dst)
+    return Graph(graph.vertices, edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w, graph.patches + 1)
+
+
+#: Keys up to which a filter names them, so that a layout's other buckets are not read.
+LISTED = 200
+
+
+def listed(ids: DataFrame, key: str = "id") -> list | None:
+    """The keys, if there are but few."""
+    rows = ids.select(key).limit(LISTED + 1).collect()
+    return [r[0] for r in rows] if len(rows) <= LISTED else None
+
+
+def touching(edges: DataFrame, key: str, ids: DataFrame, few: list | None, id_col: str | None = None) -> DataFrame:
+    """The edges whose ``key`` is among ``ids``; ``few`` are these if they are few."""
+    if few is not None:
+        return edges.where(F.col(key).isin(few))
+    return edges.join(ids.select(F.col(id_col or key).alias(key)), key, "left_semi")
 
 
 def diff(old: DataFrame, new: DataFrame) -> Batch:
@@ -118,9 +161,3 @@ def write_version(table: DataFrame, path: str, t: int) -> None:
 
 def read_version(spark: SparkSession, path: str, t: int) -> DataFrame:
     return spark.read.parquet(f"{path}/t={t}")
-
-
-def write_layouts(edges_w: DataFrame, name: str, buckets: int) -> None:
-    """The two layouts of a large graph: bucketed by ``dst`` for pulls and by ``src`` for marking."""
-    for key in ("dst", "src"):
-        edges_w.write.bucketBy(buckets, key).sortBy(key).mode("overwrite").saveAsTable(f"{name}_by_{key}")

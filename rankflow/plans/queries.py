@@ -39,7 +39,7 @@ def ready(spark: SparkSession, sf_dir: str, name: str, dead: str = "selfloop") -
 def changed(graph: Graph, kind: str, size: int = SIZE) -> tuple[Batch, Graph]:
     drawn = batches.generate(kind, graph, size)
     batch = Batch(written(drawn.ins, "ins"), written(drawn.dels, "dels"))
-    return batch, snapshot.materialised(snapshot.after(graph, batch))
+    return batch, snapshot.after(graph, batch)
 
 
 class Registry:

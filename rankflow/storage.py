@@ -29,6 +29,21 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
+    """As :func:`written`, in buckets by ``key``, each sorted by it: joins on the key don't move it, and few keys read few buckets."""
+    path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    table = f"rankflow_{path.rsplit('/', 1)[1].replace('-', '_')}"
+    df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", path).saveAsTable(table)
+    out = df.sparkSession.table(table)
+    out.scratch_path, out.scratch_name = path, table
+    return out
+
+
+def appended(tables: list[DataFrame]) -> DataFrame:
+    """Tables of one schema made by :func:`written`, as one scan."""
+    return tables[0].sparkSession.read.schema(tables[0].schema).parquet(*[t.scratch_path for t in tables])
+
+
 def held(df: DataFrame, *tables: DataFrame | None) -> DataFrame:
     """``df``, which still reads tables made by :func:`written`: they go with it when it is discarded."""
     df.scratch_tables = [*getattr(df, "scratch_tables", []), *(t for t in tables if t is not None and t is not df)]
@@ -43,6 +58,8 @@ def discard(*tables: DataFrame | None) -> None:
         discard(*getattr(df, "scratch_tables", []))
         path = getattr(df, "scratch_path", None)
         if path:
+            if name := getattr(df, "scratch_name", None):
+                df.sparkSession.sql(f"DROP TABLE IF EXISTS {name}")
             _delete(df.sparkSession, path)
 
 
