@@ -1,4 +1,4 @@
-"""Batches of edge changes: random ones by portable arithmetic, and those of edges that carry a time."""
+"""Batches of edge changes: random ones by a hash that other engines have too, and those of edges that carry a time."""
 
 from __future__ import annotations
 
@@ -11,11 +11,17 @@ from pyspark.sql.window import Window
 
 from rankflow.model import Batch, Graph
 from rankflow.operators import snapshot
-from rankflow.storage import written
+from rankflow.storage import discard, written
 
-#: Fixed multipliers of the pair and the edge draws; the SQL of the queries has the same.
-PAIR = (7919, 104729, 15485863, 32452843, 13)
-EDGE = (1000003, 10007, 7919, 1000000)
+#: Hexadecimal digits of a draw, 60 bits; the SQL of the queries takes as many.
+DIGITS = 15
+#: Deletes up to which their number is exact; beyond, each edge has its chance, and the number is within a few thousandths.
+EXACT = 1_000_000
+
+
+def drawn(*parts: Column) -> Column:
+    """An even whole number of 60 bits for the parts."""
+    return F.conv(F.substring(F.md5(F.concat_ws("|", *[p.cast("string") for p in parts])), 1, DIGITS), 16, 10).cast("bigint")
 
 
 def dense_positions(vertices: DataFrame, partitions: int | None = None) -> DataFrame:
@@ -34,45 +40,51 @@ def dense_positions(vertices: DataFrame, partitions: int | None = None) -> DataF
 
 
 def random_inserts(positions: DataFrame, n: int, count: int, seed: int) -> DataFrame:
-    """``count`` pairs of vertices, drawn evenly by modular arithmetic; some may exist or repeat."""
-    a, s, b, t, c = PAIR
-    i = F.col("i")
-    drawn = positions.sparkSession.range(count).withColumnRenamed("id", "i").select(((i * a + seed * s) % n).alias("p"), ((i * b + seed * t + c) % n).alias("q"))
+    """``count`` pairs of vertices, each pair as likely as any; some may exist, repeat, or be loops, which go."""
+    end = lambda side: F.pmod(drawn(F.lit(seed), F.col("i"), F.lit(side)), F.lit(n))
+    pairs = positions.sparkSession.range(count).withColumnRenamed("id", "i").select(end("src").alias("p"), end("dst").alias("q"))
     src = positions.select(F.col("pos").alias("p"), F.col("id").alias("src"))
     dst = positions.select(F.col("pos").alias("q"), F.col("id").alias("dst"))
-    return drawn.join(src, "p").join(dst, "q").where("src <> dst").select("src", "dst").distinct()
+    return pairs.join(src, "p").join(dst, "q").where("src <> dst").select("src", "dst").distinct()
 
 
-def random_deletes(edges: DataFrame, positions: DataFrame, fraction: float, seed: int) -> DataFrame:
-    """Each edge but loops with the same chance, by a hash of its ends' positions."""
-    a, b, s, m = EDGE
-    src = positions.select(F.col("pos").alias("p"), F.col("id").alias("src"))
-    dst = positions.select(F.col("pos").alias("q"), F.col("id").alias("dst"))
-    placed = edges.where("src <> dst").join(src, "src").join(dst, "dst")
-    return placed.where((F.col("p") * a + F.col("q") * b + seed * s) % m < int(fraction * m)).select("src", "dst")
+def random_deletes(edges: DataFrame, m: int, count: int, seed: int) -> DataFrame:
+    """``count`` of the ``m`` edges that aren't loops, each as likely as any: those of the least hashes."""
+    placed = edges.where("src <> dst").select("src", "dst", drawn(F.lit(seed), F.col("src"), F.col("dst")).alias("h"))
+    bound = lambda k: min(1.0, k / max(1, m)) * 2.0 ** (4 * DIGITS)
+    if count > EXACT:
+        return placed.where(F.col("h") < bound(count)).select("src", "dst")
+    some = placed.where(F.col("h") < bound(count + 10 * count**0.5 + 50))  # more than ``count``, but for a chance of none
+    return some.orderBy("h", "src", "dst").limit(count).select("src", "dst")
 
 
 def generate(kind: str, graph: Graph, size: int, seed: int = 1, m: int | None = None, positions: DataFrame | None = None) -> Batch:
-    """A normalised batch of about ``size`` edges: ``ins``, ``del``, or ``mix`` with four inserts to a delete."""
+    """A normalised batch of about ``size`` edges: ``ins``, ``del``, or ``mix`` with four inserts to a delete.
+
+    Inserts that exist already, repeat or are loops are fewer for it; ``signed().count()`` tells the size in effect.
+    """
     share = {"ins": 1.0, "del": 0.0, "mix": 0.8}
     if kind not in share:
         raise ValueError("kind is one of ins, del, mix")
-    positions = dense_positions(graph.vertices) if positions is None else positions
     none = graph.edges.select("src", "dst").limit(0)
     k = round(size * share[kind])
-    ins = random_inserts(positions, graph.n, k, seed) if k else none
-    m = graph.edges.where("src <> dst").count() if m is None else m
-    dels = random_deletes(graph.edges, positions, (size - k) / max(1, m), seed) if size > k else none
+    ins = dels = none
+    if k:
+        ins = random_inserts(dense_positions(graph.vertices) if positions is None else positions, graph.n, k, seed)
+    if size > k:
+        m = graph.edges.where("src <> dst").count() if m is None else m
+        dels = random_deletes(graph.edges, m, size - k, seed)
     return snapshot.normalize(Batch(ins, dels), graph.edges)
 
 
 def sweep(graph: Graph, kind: str, fractions: tuple[float, ...], repeats: int = 3) -> Iterator[tuple[float, int, Batch]]:
     """``(fraction, seed, batch)`` over sizes as fractions of the edges; a size below one edge is one edge."""
-    m = graph.edges.count()
+    m, plain = graph.edges.count(), graph.edges.where("src <> dst").count()
     positions = written(dense_positions(graph.vertices), "positions")
     for fraction in fractions:
         for seed in range(1, repeats + 1):
-            yield fraction, seed, generate(kind, graph, max(1, round(fraction * m)), seed, positions=positions)
+            yield fraction, seed, generate(kind, graph, max(1, round(fraction * m)), seed, m=plain, positions=positions)
+    discard(positions)
 
 
 def base_before(edges_ts: DataFrame, start: str | datetime) -> DataFrame:

@@ -6,7 +6,7 @@ Each function returns common table expressions; :func:`select` puts them togethe
 from __future__ import annotations
 
 from rankflow.graphs import SQL
-from rankflow.operators.batches import EDGE, PAIR
+from rankflow.operators.batches import DIGITS
 
 ALPHA = 0.85
 
@@ -31,17 +31,24 @@ def _weights(name: str, edges: str) -> str:
     return f"{name} AS MATERIALIZED (SELECT src, dst, CAST(1 AS DOUBLE) / count(*) OVER (PARTITION BY src) AS w FROM {edges})"
 
 
-def batch(kind: str, size: int, seed: int = 1) -> list[str]:
-    """``ins`` and ``dels``, drawn and normalised, then ``g2`` and ``w2`` after them, ``both`` of old and new edges, and ``so`` the sources."""
-    k = round(size * {"ins": 1.0, "del": 0.0, "mix": 0.8}[kind])
-    a, s, b, t, c = PAIR
-    x, y, z, m = EDGE
-    fraction = f"CAST(floor(CAST({size - k} AS DOUBLE) / (SELECT greatest(1, count(*)) FROM g WHERE src <> dst) * {m}) AS BIGINT)"
+def _quoted(text: str) -> str:
+    return f"'{text}'"
+
+
+def _drawn(*parts: str) -> str:
+    """The number of ``batches.drawn``."""
+    return f"CAST('0x' || substr(md5(concat_ws('|', {', '.join(parts)})), 1, {DIGITS}) AS BIGINT)"
+
+
+def batch(kind: str, size: int | str, seed: int = 1) -> list[str]:
+    """``ins`` and ``dels``, drawn and normalised; ``size`` may be an expression; then ``g2`` and ``w2`` after them, ``both`` of old and new edges, and ``so`` the sources."""
+    k = f"CAST(round({size} * { {'ins': 1.0, 'del': 0.0, 'mix': 0.8}[kind] }) AS BIGINT)"
+    end = lambda side: f"{_drawn(str(seed), 'i', _quoted(side))} % CAST(n AS BIGINT)"
     return [
         "ps AS MATERIALIZED (SELECT id, row_number() OVER (ORDER BY id) - 1 AS pos FROM v)",
-        f"dr AS (SELECT (i * {a} + {seed * s}) % CAST(n AS BIGINT) AS p, (i * {b} + {seed * t + c}) % CAST(n AS BIGINT) AS q FROM range({k}) AS r(i), nn)",
+        f"dr AS (SELECT {end('src')} AS p, {end('dst')} AS q FROM (SELECT unnest(range({k})) AS i), nn)",
         "ri AS MATERIALIZED (SELECT DISTINCT x.id AS src, y.id AS dst FROM dr JOIN ps x ON x.pos = p JOIN ps y ON y.pos = q WHERE x.id <> y.id)",
-        f"rd AS MATERIALIZED (SELECT src, dst FROM g JOIN ps x ON x.id = src JOIN ps y ON y.id = dst WHERE src <> dst AND (x.pos * {x} + y.pos * {y} + {seed * z}) % {m} < {fraction})",
+        f"rd AS MATERIALIZED (SELECT src, dst FROM (SELECT src, dst, row_number() OVER (ORDER BY {_drawn(str(seed), 'src', 'dst')}, src, dst) AS i FROM g WHERE src <> dst) WHERE i <= {size} - {k})",
         "ins AS MATERIALIZED (SELECT src, dst FROM ri EXCEPT SELECT src, dst FROM g EXCEPT SELECT src, dst FROM rd)",
         "dels AS MATERIALIZED (SELECT src, dst FROM rd EXCEPT SELECT src, dst FROM ri)",
         "g2 AS MATERIALIZED (SELECT src, dst FROM g EXCEPT SELECT src, dst FROM dels UNION SELECT src, dst FROM ins)",
