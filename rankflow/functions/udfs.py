@@ -5,34 +5,24 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
-from pyspark.sql.types import DoubleType, LongType, StringType, StructType
+from pyspark.sql.types import DoubleType, LongType, StructType
 
 
-@pandas_udf(DoubleType())
-def cosine(a: pd.Series, b: pd.Series) -> pd.Series:
-    """Cosine of two vectors, row by row."""
-    import numpy as np
-
-    x, y = np.stack(a.to_numpy()).astype(float), np.stack(b.to_numpy()).astype(float)
-    return pd.Series((x * y).sum(1) / np.maximum(np.linalg.norm(x, axis=1) * np.linalg.norm(y, axis=1), 1e-300))
-
-
-@pandas_udf(StringType())
-def canonical_url(url: pd.Series) -> pd.Series:
-    """Lower-case scheme and host, no fragment, no default port, no trailing slash."""
-    from urllib.parse import urlsplit, urlunsplit
+def cosine(a: Column | str, b: Column | str) -> Column:
+    """Cosine of two vectors, in built-in expressions; null if one has no length."""
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, p: s + p)
+    return F.try_divide(dot(a, b), F.sqrt(dot(a, a)) * F.sqrt(dot(b, b)))
 
-    def one(u: str | None) -> str | None:
-        if u is None:
-            return None
-        p = urlsplit(u)
-        host = p.netloc.lower().removesuffix(":80" if p.scheme == "http" else ":443")
-        return urlunsplit((p.scheme.lower(), host, p.path.rstrip("/"), p.query, ""))
 
-    return url.map(one)
+def canonical_url(url: Column | str) -> Column:
+    """Lower-case scheme and host, no fragment, no default port, no slash at the end of the path."""
+    u = F.regexp_replace(url, "#.*$", "")
+    scheme, host = F.lower(F.split_part(u, F.lit("//"), F.lit(1))), F.lower(F.split_part(u, F.lit("/"), F.lit(3)))
+    bare = F.when(scheme == "https:", F.regexp_replace(host, ":443$", "")).otherwise(F.regexp_replace(host, ":80$", ""))
+    return F.concat(scheme, F.lit("//"), bare, F.regexp_replace(F.regexp_replace(u, "^[^/]*//[^/?]*", ""), "/+([?]|$)", "$1"))
 
 
 @pandas_udf(DoubleType())
@@ -69,7 +59,7 @@ class SmallGraphRank:
                 new[d] += 0.85 * rank[s] / degree[s]
             moved = max(abs(new[x] - rank[x]) for x in ids)
             rank = new
-            if moved <= 1e-10:
+            if moved <= 1e-15:
                 break
         for x in ids:
             yield self.graph, x, rank[x]
@@ -77,8 +67,7 @@ class SmallGraphRank:
 
 def register(spark: SparkSession, ranks: DataFrame | None = None, batch: DataFrame | None = None) -> None:
     """Make the functions, and views ``ranks`` and ``batches``, known to SQL."""
-    for name, f in (("cosine", cosine), ("canonical_url", canonical_url), ("geometric_mean", geometric_mean)):
-        spark.udf.register(name, f)
+    spark.udf.register("geometric_mean", geometric_mean)
     spark.udtf.register("small_graph_rank", SmallGraphRank)
     for name, df in (("ranks", ranks), ("batches", batch)):
         if df is not None:

@@ -98,15 +98,27 @@ def handoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return steps.where("src <> dst").groupBy("src", "dst").agg(F.min("ts").alias("ts"))
 
 
+#: Vectors for which comparing takes a block more.
+VECTORS = 2000
+
+
 def near_vecs(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
-    """Each vector to its ``k`` nearest of the same label, by cosine and then id."""
+    """Each vector to its ``k`` nearest of the same label, by cosine and then id.
+
+    A label is compared block by block: a vector meets each block of the others in
+    another task, and keeps the ``k`` best of each.
+    """
     vectors = table(spark, sf_dir, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     unit = vectors.withColumn("norm", F.sqrt(dot("e", "e")))
-    other = unit.select(F.col("vec_id").alias("other"), "label", F.col("e").alias("f"), F.col("norm").alias("norm2"))
-    pairs = unit.join(other, "label").where("vec_id <> other").select("vec_id", "other", F.round(dot("e", "f") / (F.col("norm") * F.col("norm2")), 9).alias("cos"))
-    best = Window.partitionBy("vec_id").orderBy(F.desc("cos"), "other")
-    return pairs.withColumn("r", F.row_number().over(best)).where(F.col("r") <= k).select(F.col("vec_id").alias("src"), F.col("other").alias("dst"))
+    blocks = max(1, vectors.count() // VECTORS)
+    block = F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
+    other = unit.select(F.col("vec_id").alias("other"), "label", F.col("e").alias("f"), F.col("norm").alias("norm2"), block.alias("block"))
+    each = unit.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<bigint>")))
+    pairs = each.join(other, ["label", "block"]).where("vec_id <> other").select("vec_id", "block", "other", F.round(dot("e", "f") / (F.col("norm") * F.col("norm2")), 9).alias("cos"))
+    best = lambda *by: F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("cos"), "other"))
+    few = pairs.withColumn("r", best("vec_id", "block")).where(F.col("r") <= k)
+    return few.withColumn("r", best("vec_id")).where(F.col("r") <= k).select(F.col("vec_id").alias("src"), F.col("other").alias("dst"))
 
 
 def nation_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -143,6 +155,9 @@ BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 _HREFS = "SELECT url, split_part(url, '/', 3) AS host, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages"
 _K = "CAST(json_extract_string(props, '$.k') AS INTEGER)"
 
+#: The nearest vectors, in that SQL.
+NEAR_SQL = "SELECT src, dst FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) DESC, b.vec_id) AS r FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id) WHERE r <= 5"
+
 #: The same graphs in the SQL of an independent engine.
 SQL = {
     "part_flow": "SELECT DISTINCT src, dst FROM (SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey) AS dst FROM lineitem) WHERE src <> dst",

@@ -71,6 +71,18 @@ def steps(k: int, weights: str, start: str, prefix: str, lost: str = "") -> list
     return out
 
 
+def small_graphs(edges: str, k: int) -> list[str]:
+    """``y0 .. yk``: steps on many graphs ``graph_id, src, dst`` at once, with loops on all vertices."""
+    base = [
+        f"e AS MATERIALIZED (SELECT DISTINCT graph_id, src, dst FROM ({edges}))",
+        "v AS MATERIALIZED (SELECT *, count(*) OVER (PARTITION BY graph_id) AS n FROM (SELECT DISTINCT graph_id, id FROM (SELECT graph_id, src AS id FROM e UNION ALL SELECT graph_id, dst FROM e)))",
+        "w AS MATERIALIZED (SELECT *, CAST(1 AS DOUBLE) / count(*) OVER (PARTITION BY graph_id, src) AS w FROM (SELECT graph_id, src, dst FROM e UNION SELECT graph_id, id, id FROM v))",
+        "y0 AS MATERIALIZED (SELECT graph_id, id, CAST(1 AS DOUBLE) / n AS rank, n FROM v)",
+    ]
+    step = "y{1} AS MATERIALIZED (SELECT r.graph_id, r.id, {2} / r.n + {3} * coalesce(s, 0) AS rank, r.n FROM y{0} r LEFT JOIN (SELECT w.graph_id, dst AS id, sum(rank * w) AS s FROM w JOIN y{0} q ON q.graph_id = w.graph_id AND q.id = src GROUP BY 1, 2) t USING (graph_id, id))"
+    return base + [step.format(i, i + 1, 1 - ALPHA, ALPHA) for i in range(k)]
+
+
 def uniform() -> str:
     return "r0 AS MATERIALIZED (SELECT id, 1 / n AS rank FROM v, nn)"
 

@@ -57,7 +57,7 @@ def _graphs(r: Registry) -> None:
     for name in graphs.SQL:
         build = graphs.turns if name == "turns" else graphs.BUILDERS[name]
         r.add(f"graph_{name}", build, graphs.SQL[name])
-    r.add("graph_near_vecs", graphs.near_vecs)
+    r.add("graph_near_vecs", graphs.near_vecs, graphs.NEAR_SQL)
 
     def stats(spark: SparkSession, sf_dir: str) -> DataFrame:
         out = None
@@ -107,6 +107,15 @@ def _batches(r: Registry) -> None:
         r.add(f"mark_initial_{kind}", lambda s, d, kind=kind: _initial(ready(s, d, MAIN), kind), o.select([*parts, o.INITIAL], "SELECT id FROM m0"))
         for more, name in REACHED.items():
             r.add(f"reach_set_{more}{kind}", lambda s, d, kind=kind, name=name: _reached(ready(s, d, name), kind), o.select([*o.graph(name), *o.batch(kind, SIZE), o.REACHED], "SELECT id FROM rs", recursive=True))
+    def tenth(s: SparkSession, d: str) -> DataFrame:
+        g = ready(s, d, MAIN)
+        return batches.generate("mix", g, round(0.1 * g.edges.count())).signed()
+
+    r.add("batch_tenth_mix", tenth, o.select([*o.graph(MAIN), *o.batch("mix", "(SELECT CAST(round(0.1 * count(*)) AS BIGINT) FROM g)")], "SELECT src, dst, '+' AS op FROM ins UNION ALL SELECT src, dst, '-' FROM dels"))
+    pages = [*o.graph("page_links"), *o.batch("mix", SIZE)]
+    walk = lambda edges, name: f"{name} AS (SELECT dst AS id FROM {edges} WHERE src IN (SELECT id FROM so) UNION SELECT b.dst FROM {name} JOIN {edges} b ON b.src = {name}.id)"
+    for which, sql in (("current", o.select([*pages, walk("g2", "rs")], "SELECT id FROM rs", recursive=True)), ("either", o.select([*pages, walk("g", "ro"), walk("g2", "rs")], "SELECT id FROM ro UNION SELECT id FROM rs", recursive=True))):
+        r.add(f"reach_set_{which}_pages_mix", lambda s, d, which=which: _reached(ready(s, d, "page_links"), "mix", which), sql)
     mix = [*o.graph(MAIN), *o.batch("mix", SIZE)]
 
     def applied(s: SparkSession, d: str) -> DataFrame:
@@ -146,9 +155,9 @@ def _initial(graph: Graph, kind: str) -> DataFrame:
     return mark.initial(new, batch)
 
 
-def _reached(graph: Graph, kind: str) -> DataFrame:
+def _reached(graph: Graph, kind: str, snapshots: str = "union") -> DataFrame:
     batch, new = changed(graph, kind)
-    return mark.reach_set(graph, new, batch)
+    return mark.reach_set(graph, new, batch, snapshots)
 
 
 def _updates(r: Registry) -> None:
@@ -178,11 +187,37 @@ def _updates(r: Registry) -> None:
         for k in (1, 2, 5):
             r.add(f"frontier_k{k}_{kind}", update("frontier", kind, k), frontier(kind, k))
     r.add("frontier_never_expand", update("frontier", "mix", 3, tau_f=1e300), frontier("mix", 3, 1e300))
-    r.add("frontier_always_expand", update("frontier", "mix", 3, tau_f=-1.0), frontier("mix", 3, -1.0))
+    # ranks only: whether a change of none at all is none to the last bit depends on the order of sums
+    r.add("frontier_tau_zero", update("frontier", "mix", 3, with_marks=False, tau_f=0.0), o.select([*start("mix"), o.INITIAL, *o.restricted(3, f"a{BEFORE}", "m0", True, 0.0)], f"SELECT id, {o.P12} FROM x3"))
     r.add("frontier_blocked_b2", update("frontier", "mix", 3, discipline="blocked", blocks=2), frontier("mix", 3, blocks=2))
     r.add("frontier_k5_part_flow", update("frontier", "ins", 5, "part_flow"), frontier("ins", 5, name="part_flow"))
     r.add("frontier_k5_nation_trade", update("frontier", "mix", 5, "nation_trade"), frontier("mix", 5, name="nation_trade"))
-    r.add("warm_blocked_b2", lambda s, d: _warm_blocked(s, d))
+    r.add("warm_blocked_b2", lambda s, d: _warm_blocked(s, d), o.select([*start("mix", "nation_trade"), *o.restricted(3, f"a{BEFORE}", "v", False, 0.0, 2)], f"SELECT id, {o.P12} FROM x6"))
+
+    def share(method: str, name: str) -> Query:
+        def query(s: SparkSession, d: str) -> DataFrame:
+            old = ready(s, d, name)
+            batch, new = changed(old, "mix")
+            out = methods.run(method, old, new, batch, methods.cold(old, fixed(BEFORE)).ranks, fixed(5))
+            return s.range(1).select(F.round(F.lit(100.0 * measures.affected_fraction(out, new.n)), 9).alias("affected_pct"))
+
+        return query
+
+    final = "SELECT round(100.0 * count(*) / (SELECT n FROM nn), 9) AS affected_pct FROM "
+    r.add("affected_final_frontier", share("frontier", MAIN), o.select([*start("mix"), o.INITIAL, *o.restricted(5, f"a{BEFORE}", "m0", True, TAU_F)], final + "m5"))
+    r.add("affected_final_reach_pages", share("reach", "page_links"), o.select([*start("mix", "page_links"), o.REACHED], final + "(SELECT DISTINCT id FROM rs)", recursive=True))
+
+    def converged(method: str) -> Query:
+        def query(s: SparkSession, d: str) -> DataFrame:
+            old = ready(s, d, "nation_trade")
+            batch, new = changed(old, "mix")
+            out = methods.run(method, old, new, batch, methods.cold(old, fixed(BEFORE)).ranks, Params(tau=1e-13, tau_f=0.0))
+            return out.ranks.select("id", F.round(F.col("rank") * 1e8).cast("long").alias("rank_p8"))
+
+        return query
+
+    for method in ("warm", "reach", "frontier"):
+        r.add(f"{method}_converged_nation_trade", converged(method), o.select([*start("mix", "nation_trade"), *o.steps(60, "w2", f"a{BEFORE}", "b")], "SELECT id, CAST(round(rank * 1e8) AS BIGINT) AS rank_p8 FROM b60"))
 
     def tolerances(s: SparkSession, d: str) -> DataFrame:
         old = ready(s, d, MAIN)
@@ -257,7 +292,7 @@ def _functions(r: Registry) -> None:
     from rankflow.functions import udfs
     from rankflow.sources.edges import synthetic
 
-    r.add("small_graph_ranks", lambda s, d: udfs.rank_small_graphs(graphs.turns(s, d)).select("graph_id", "id", F.round(F.col("rank") * 1e9).cast("long").alias("rank_p9")))
+    r.add("small_graph_ranks", lambda s, d: udfs.rank_small_graphs(graphs.turns(s, d)).select("graph_id", "id", F.round(F.col("rank") * 1e6).cast("long").alias("rank_p6")), o.select(o.small_graphs(graphs.SQL["turns"], 240), "SELECT graph_id, id, CAST(round(rank * 1e6) AS BIGINT) AS rank_p6 FROM y240"))
     ring = "SELECT i AS src, (i + 1) % 50 AS dst FROM range(50) AS t(i)"
     r.add("synthetic_ring", lambda s, d: synthetic(s, "ring", 50), ring)
 
@@ -268,13 +303,14 @@ def _functions(r: Registry) -> None:
 
     r.add("cosine_neighbours", cosines, "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
     urls = lambda s, d: graphs.table(s, d, "pages").select("page_id", udfs.canonical_url("url").alias("url"))
-    r.add("canonical_urls", urls)
+    host = "regexp_replace(lower(split_part(u, '/', 3)), CASE WHEN starts_with(lower(u), 'https:') THEN ':443$' ELSE ':80$' END, '')"
+    r.add("canonical_urls", urls, f"SELECT page_id, lower(split_part(u, '//', 1)) || '//' || {host} || regexp_replace(regexp_replace(u, '^[^/]*//[^/?]*', ''), '/+([?]|$)', '\\1') AS url FROM (SELECT page_id, regexp_replace(url, '#.*$', '') AS u FROM pages)")
 
 
 def registry() -> Registry:
-    from rankflow.plans import relational, streams
+    from rankflow.plans import relational, streams, surface
 
     r = Registry()
-    for part in (_graphs, _full, _batches, _updates, _measures, _reports, _functions, relational.add, streams.add):
+    for part in (_graphs, _full, _batches, _updates, _measures, _reports, _functions, relational.add, surface.add, streams.add):
         part(r)
     return r

@@ -60,7 +60,10 @@ def add(r: Registry) -> None:
           "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(round(sum(l_extendedprice) * 100) AS BIGINT) AS price, max(l_tax) AS top_tax, min(l_quantity) AS low, count_if(l_discount > 0.05)::BIGINT AS discounted FROM lineitem GROUP BY 1, 2")
     r.add("agg_distinct", lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers")),
           "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY 1")
-    r.add("agg_approx", lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts"), F.percentile_approx("l_extendedprice", 0.5).alias("median")))
+    # whether sketches are within their bounds of the exact values
+    near = lambda a, b, e: (F.abs(a / b - 1) <= e)
+    r.add("agg_approx", lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").agg(near(F.approx_count_distinct("l_partkey", 0.02), F.count_distinct("l_partkey"), 0.1).alias("parts"), near(F.percentile_approx("l_extendedprice", 0.5), F.percentile("l_extendedprice", 0.5), 0.02).alias("median")),
+          "SELECT DISTINCT l_returnflag, TRUE AS parts, TRUE AS median FROM lineitem")
     r.add("agg_grouping_sets", lambda s, d: _views(s, d).sql("SELECT o_orderstatus, o_orderpriority, count(*) AS n, CAST(grouping_id() AS BIGINT) AS g FROM rf_orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())"),
           "SELECT o_orderstatus, o_orderpriority, count(*) AS n, CAST(grouping_id(o_orderstatus, o_orderpriority) AS BIGINT) AS g FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())")
     r.add("agg_pivot", lambda s, d: t(s, d, "orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count(F.lit(1))).fillna(0),
