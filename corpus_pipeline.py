@@ -7,12 +7,11 @@ encoded.  All stages but the last return the columns of ``documents``.
 
 from __future__ import annotations
 
-import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rankflow.llm import bpe, line_dedup, mixing, ngram_join, quality
-from rankflow.llm.common import discard, documents, written
+from rankflow.llm.common import discard, documents, held, unpacked, written
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Near copies here: five-word shingles, a similarity of 0.8 or more.
@@ -24,8 +23,9 @@ def by_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def by_line(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    out = line_dedup.dedup_lines(docs)
-    return out.withColumn("n_chars", F.char_length("text").cast("long")).select(docs.columns)
+    out = line_dedup.dedup_lines(docs.select(F.struct("*").alias("row"), "doc_id", "text"))
+    made = {"text": F.col("text"), "n_chars": F.char_length("text").cast("long")}
+    return held(unpacked(out, docs.columns, {c: v for c, v in made.items() if c in docs.columns}), out)
 
 
 def by_copy(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,15 +34,18 @@ def by_copy(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def by_weight(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All rows, in the mixed order: files by name, rows by place."""
-    return mixing.in_order(mixing.mix(docs)).select(docs.columns)
+    return mixing.in_order(mixing.mix(docs.select(F.struct("*").alias("row"), "doc_id", "source"))).select("row.*")
 
 
 def to_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of each document; ``shard`` and ``place`` are its file and row there, which hold the order."""
+    import public_tokenizers
+
     if docs.inputFiles():
-        docs = docs.select("*", F.col("_metadata.file_name").alias("shard"), F.col("_metadata.row_index").alias("place"))
+        at = [F.col("_metadata.file_name").alias("shard"), F.col("_metadata.row_index").alias("place")]
     else:
-        docs = docs.withColumns({"shard": F.lit(None).cast("string"), "place": F.lit(None).cast("long")})
+        at = [F.lit(None).cast("string").alias("shard"), F.lit(None).cast("long").alias("place")]
+    docs = docs.select("doc_id", "lang", "source", "text", *at)
     out = bpe.encode_documents(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
     return out.select("doc_id", "lang", "source", "shard", "place", "n_tokens", "token_ids")
 
@@ -56,7 +59,8 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, last = documents(spark, sf_dir), None
     for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), name)
-        discard(last)
+        made = stage(spark, docs, sf_dir)
+        docs = written(made, name)
+        discard(made, last)
         last = docs
-    return STAGES[-1][1](spark, docs, sf_dir)
+    return held(STAGES[-1][1](spark, docs, sf_dir), docs)
