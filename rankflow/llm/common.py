@@ -10,7 +10,7 @@ from pyspark.sql.types import StructType
 
 from rankflow.storage import discard, held, shared_folder, written
 
-__all__ = ["UPPER", "WS", "discard", "documents", "held", "let", "lower_ascii", "packed", "require", "shared_folder", "unpacked", "windows", "with_fields", "words", "written"]
+__all__ = ["UPPER", "WS", "discard", "documents", "held", "let", "lower_ascii", "packed", "prefix", "require", "shared_folder", "unpacked", "windows", "with_fields", "words", "written"]
 
 #: White space of the contracts: blank, tab, newline, vertical tab, form feed, return.
 WS = " \t\n\x0b\x0c\r"
@@ -56,6 +56,11 @@ def packed(docs: DataFrame) -> DataFrame:
     return docs.select(F.struct("*").alias("row"))
 
 
+def prefix(docs: DataFrame) -> str:
+    """Underscores, one more than any column begins with."""
+    return "_" * (1 + max((len(c) - len(c.lstrip("_")) for c in docs.columns), default=0))
+
+
 def unpacked(rows: DataFrame, columns: Iterable[str], made: dict[str, Column]) -> DataFrame:
     """The columns of ``row`` in their order, with those made: in place of one of that name, or after the others."""
     left = {name.lower(): value for name, value in made.items()}

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from rankflow.llm.common import let, packed, require, unpacked, windows, words
+from rankflow.llm.common import let, packed, prefix, require, unpacked, windows, words
 
 BINS_LOG2 = 8
 BITS = 4
@@ -109,27 +109,27 @@ def with_next(docs: DataFrame, carried: list[str], id_col: str = "doc_id") -> Da
     Columns of the input that have a name of the new ones are replaced.
     """
     require(docs, [id_col, *carried])
-    key = F.col(f"row.{id_col}")
-    known, lost = packed(docs.where(F.col(id_col).isNotNull())), packed(docs.where(F.col(id_col).isNull()))
-    n, low, high = known.agg(F.count(F.lit(1)), F.min(key), F.max(key)).first()
+    own = prefix(docs)  # inner names begin with what no column begins with
     nothing = {f"next_{c}": F.lit(None).cast(docs.schema[c].dataType) for c in carried}
+    docs = docs.drop(*nothing)
+    known, lost = docs.where(F.col(id_col).isNotNull()), docs.where(F.col(id_col).isNull())
+    n, low, high = known.agg(F.count(F.lit(1)), F.min(id_col), F.max(id_col)).first()
     if not n:
-        return unpacked(packed(docs), docs.columns, nothing)
+        return docs.withColumns(nothing)
     bits = max(8, math.ceil(math.log2(n) / 2))
-    group = F.shiftright(key.cast("bigint"), bits)
-    tops = known.groupBy(group.alias("k")).agg(F.max(key).alias("top"))
+    group = F.shiftright(F.col(id_col).cast("bigint"), bits)
+    tops = known.groupBy(group.alias("k")).agg(F.max(id_col).alias("top"))
     before = _before(tops.select("k"), bits, low >> bits, high >> bits)
     last = F.coalesce("p", F.lit(high >> bits).cast("bigint"))
-    guests = before.select(F.col("k").alias("to"), last.alias("p")).join(tops.select(F.col("k").alias("p"), F.col("top").alias("guest")), "p").select("to", "guest")
+    guests = before.select(F.col("k").alias(f"{own}to"), last.alias("p")).join(tops.select(F.col("k").alias("p"), F.col("top").alias(f"{own}guest")), "p").drop("p")
     few = guests.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
-    sent = known.join(F.broadcast(guests) if few else guests, key == F.col("guest"), "left")
+    sent = known.join(F.broadcast(guests) if few else guests, F.col(id_col) == F.col(f"{own}guest"), "left")
     # a guest comes once, though its group may be its own
-    to = F.array_compact(F.array(F.struct(group.alias("g"), F.lit(0).alias("late")), F.when(F.col("guest").isNotNull(), F.struct(F.col("to").alias("g"), F.lit(1).alias("late")))))
-    sent = sent.select("row", F.explode(to).alias("at"))
-    order = Window.partitionBy("at.g").orderBy("at.late", key.desc(), *[F.col(f"row.{c}") for c in carried])
-    out = sent.select("row", F.col("at.late").alias("late"), *[F.lead(f"row.{c}").over(order).alias(f"n{k}") for k, c in enumerate(carried)]).where("late = 0")
-    followed = unpacked(out, docs.columns, {f"next_{c}": F.col(f"n{k}") for k, c in enumerate(carried)})
-    return followed.unionByName(unpacked(lost, docs.columns, nothing))
+    late = F.when(F.col(f"{own}guest").isNotNull(), F.struct(F.col(f"{own}to").alias("g"), F.lit(1).alias("late")))
+    sent = sent.withColumn(f"{own}at", F.explode(F.array_compact(F.array(F.struct(group.alias("g"), F.lit(0).alias("late")), late)))).drop(f"{own}to", f"{own}guest")
+    order = Window.partitionBy(f"{own}at.g").orderBy(f"{own}at.late", F.col(id_col).desc(), *carried)
+    out = sent.withColumns({f"next_{c}": F.lead(c).over(order) for c in carried}).where(F.col(f"{own}at.late") == 0).drop(f"{own}at")
+    return out.unionByName(lost.withColumns(nothing))
 
 
 def fingerprint_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
