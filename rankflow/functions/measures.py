@@ -66,8 +66,22 @@ def affected_fraction(result: RankResult, n: int) -> float:
 
 
 def work(result: RankResult) -> dict:
-    """Vertices recomputed over all rounds, rounds, and seconds."""
-    return {"vertex_updates": result.vertex_updates, "iterations": result.iterations, "seconds": result.seconds_total}
+    """Vertices recomputed and in-edges of marked ones read over all rounds, rounds, and seconds."""
+    return {"vertex_updates": result.vertex_updates, "edges_read": result.edges_read, "iterations": result.iterations, "seconds": result.seconds_total}
+
+
+def rank_correlation(a: DataFrame, b: DataFrame, digits: int = 12) -> DataFrame:
+    """One row, ``correlation``: how far two rankings order the same vertices alike, by their places; equal ranks by id."""
+
+    def placed(df: DataFrame, name: str) -> DataFrame:
+        rows = df.select("id", F.round("rank", digits).alias("rank")).repartitionByRange(F.desc("rank"), "id").withColumn("p", F.spark_partition_id())
+        sizes = rows.groupBy("p").agg(F.count(F.lit(1)).alias("k"))
+        ahead = sizes.select("p", (F.sum("k").over(Window.orderBy("p")) - F.col("k")).alias("ahead"))  # a row for each partition
+        within = F.row_number().over(Window.partitionBy("p").orderBy(F.desc("rank"), "id"))
+        return rows.withColumn("i", within).join(F.broadcast(ahead), "p").select("id", (F.col("ahead") + F.col("i")).alias(name))
+
+    both = placed(a, "x").join(placed(b, "y"), "id")
+    return both.agg(F.corr(F.col("x").cast("double"), F.col("y").cast("double")).alias("correlation"))
 
 
 def top_k(ranks: DataFrame, k: int) -> DataFrame:

@@ -22,7 +22,7 @@ class Graph:
     """A snapshot: ``vertices(id)``, ``edges(src, dst)`` without repeats, and ``edges_w(src, dst, w)`` with ``w`` one over the out-degree.
 
     ``in_w`` holds the rows of ``edges_w``, laid out by ``dst``.  ``patches`` counts the
-    batches that lie over the written layouts.
+    batches that lie over the written layouts, ``m`` the edges, where it is known.
     """
 
     vertices: DataFrame
@@ -32,6 +32,7 @@ class Graph:
     dead_ends: str = "selfloop"
     in_w: DataFrame | None = None
     patches: int = 0
+    m: int | None = None
 
     @property
     def by_dst(self) -> DataFrame:

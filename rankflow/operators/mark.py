@@ -39,11 +39,16 @@ def reachable(edges: DataFrame, start: DataFrame, include_sources: bool = False,
 
     Without a bound on the depth, vertices that edges join both ways are first
     contracted, as who reaches one of them reaches all: long two-way chains
-    then cost rounds in the logarithm of their length.
+    then cost rounds in the logarithm of their length.  At most ``LOCAL`` edges are
+    walked on arrays of the driver instead.
     """
     if max_depth is not None:
         return _traversed(edges, start, include_sources, max_depth)
     edges = written(edges.select("src", "dst"), "edges")
+    if edges.count() <= LOCAL:
+        out = _walked(edges, start, include_sources)
+        discard(edges)
+        return out
     groups = two_way_groups(edges)
     name = lambda c: F.coalesce("root", c)
     of = lambda df, c: df.join(groups.select(F.col("id").alias(c), "root"), c, "left")
@@ -56,6 +61,41 @@ def reachable(edges: DataFrame, start: DataFrame, include_sources: bool = False,
     return out
 
 
+#: Edges up to which a walk is made by the driver: two numbers each.
+LOCAL = 1_000_000
+
+
+def _walked(edges: DataFrame, start: DataFrame, include_sources: bool) -> DataFrame:
+    """The ids reached, step by step, over neighbour lists in arrays."""
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    rows = edges.toArrow()
+    ends = pa.chunked_array([*rows.column("src").chunks, *rows.column("dst").chunks], rows.schema.field("src").type).combine_chunks().dictionary_encode()
+    ids, codes = ends.dictionary, ends.indices.to_numpy()
+    src, dst = codes[: len(rows)], codes[len(rows) :]
+    order = np.argsort(src, kind="stable")
+    after, first = dst[order], np.searchsorted(src[order], np.arange(len(ids) + 1))
+    begun = start.select("id").distinct().toArrow().column("id").combine_chunks()
+    known = pc.index_in(begun.cast(ids.type), ids)
+    front = known.drop_null().to_numpy(zero_copy_only=False).astype(int)
+    seen = np.zeros(len(ids), bool)
+    if include_sources:
+        seen[front] = True
+    while len(front):
+        n = first[front + 1] - first[front]
+        at = np.repeat(first[front] - np.cumsum(n) + n, n) + np.arange(n.sum())
+        found = np.unique(after[at])
+        front = found[~seen[found]]
+        seen[front] = True
+    out = ids.filter(pa.array(seen))
+    if include_sources:
+        out = pa.concat_arrays([out, begun.cast(ids.type).filter(known.is_null())])
+    made = edges.sparkSession.createDataFrame(pa.table({"id": out}), edges.select(F.col("src").alias("id")).schema)
+    return written(made, "reached")
+
+
 def two_way_groups(edges: DataFrame) -> DataFrame:
     """``(id, root)`` of vertices that edges join both ways, directly or through others.
 

@@ -103,6 +103,7 @@ def _full(graph: Graph, start: DataFrame, params: Params, method: str) -> RankRe
     """Rounds over all vertices, from given ranks."""
     began = time.monotonic()
     ranks, telemetry, converged, done = start, [], False, 0
+    m = graph.edges_w.count() if graph.m is None else graph.m
     while done < params.max_iter and not converged:
         t0 = time.monotonic()
         # a step that reads the ranks more than once is written before the next one
@@ -122,7 +123,7 @@ def _full(graph: Graph, start: DataFrame, params: Params, method: str) -> RankRe
         table, seen = _observed(_with_delta(now, old), 0.0, f"{method}-ranks")
         discard(ranks if ranks is not start else None)
         ranks, done = table, done + steps
-        telemetry.append({"iteration": done, **seen, "affected": seen["affected"] * steps, "seconds": time.monotonic() - t0})
+        telemetry.append({"iteration": done, **seen, "affected": seen["affected"] * steps, "in_edges": m * steps, "seconds": time.monotonic() - t0})
         converged = params.stop and seen["linf"] <= params.tau
     return RankResult(held(ranks.select("id", "rank"), ranks), graph.vertices, done, converged, telemetry, 0.0, time.monotonic() - began, method, params)
 
@@ -203,8 +204,8 @@ class _Marked:
         return out.select("id", rank.alias("rank"), F.abs(rank - F.col("old")).alias("delta"), "spread")
 
 
-#: In-edges of marked vertices, and of those ahead, up to which rounds run on arrays of the driver; vertices fetched at a time; hops ahead.
-SMALL, REGION, AHEAD = 400_000, 50_000, 16
+#: Edges of a graph, or in-edges of marked vertices and those ahead, up to which rounds run on arrays of the driver; vertices fetched at a time; hops ahead.
+SMALL, REGION, AHEAD = 1_000_000, 50_000, 2
 
 
 class _Small:
@@ -234,8 +235,8 @@ class _Small:
     def _local(self, ids: list) -> DataFrame:
         return self.graph.vertices.sparkSession.createDataFrame([(x,) for x in ids], self.graph.vertices.select("id").schema)
 
-    def _know(self, ids: list) -> None:
-        """Look up the previous ranks of vertices seen for the first time."""
+    def _know(self, ids: list, every: bool = False) -> None:
+        """Look up the previous ranks of vertices seen for the first time, or of all."""
         fresh = [x for x in dict.fromkeys(ids) if x not in self.at]
         if not fresh:
             return
@@ -246,18 +247,24 @@ class _Small:
             setattr(self, name, np.concatenate((getattr(self, name), np.zeros(len(fresh), bool))))
         self.block = np.concatenate((self.block, np.zeros(len(fresh), int)))
         blocks = block_of(self.graph, self.params.blocks).cast("int").alias("b")
-        found = self._among(self.previous.select("id", "rank"), "id", fresh).select("id", "rank", blocks).toArrow()
+        ranks = self.previous.select("id", "rank")
+        found = (ranks if every else self._among(ranks, "id", fresh)).select("id", "rank", blocks).toArrow()
+        found = found.filter([x in self.at for x in found.column("id").to_pylist()])
         k = np.fromiter(map(self.at.__getitem__, found.column("id").to_pylist()), int, found.num_rows)
         self.rank[k], self.block[k] = found.column("rank").to_numpy(), found.column("b").to_numpy()
 
     def _fetch(self, ids: list, hops: int) -> bool:
-        """In- and out-edges of vertices and of what they reach in some hops; False, and nothing done, if these are too many."""
-        front = self._local(ids)
-        every = front
-        for _ in range(hops):
-            front = self.graph.edges.join(F.broadcast(front), F.col("src") == F.col("id"), "left_semi").select(F.col("dst").alias("id")).distinct()
-            every = every.union(front)
-        region = self._few(every.distinct() if hops else every, REGION)
+        """In- and out-edges of vertices and of what they reach in some hops, or of a whole graph of few edges; False, and nothing done, if these are too many."""
+        if self.graph.m is not None and self.graph.m <= SMALL:
+            self._take(self.graph.edges_w.select("src", "dst", "w").toArrow(), None, None)
+            self.known[:] = True
+            return True
+        region = self._local(ids)
+        loops = self.graph.dead_ends == "selfloop"  # then who is reached in a step holds who was reached before
+        for _ in range(hops if loops else min(1, hops)):
+            near = self.graph.edges.join(F.broadcast(region), F.col("src") == F.col("id"), "left_semi").select(F.col("dst").alias("id"))
+            region = (near if loops else near.union(region)).distinct()
+        region = self._few(region, REGION)
         if region is None:
             return False
         region = [x for x in region.column("id").to_pylist() if x not in self.at or not self.known[self.at[x]]]
@@ -266,16 +273,21 @@ class _Small:
         outward = None if inward is None else self._few(self._among(self.graph.edges, "src", region), SMALL)
         if outward is None:
             return False
-        src, dst, after = inward.column("src").to_pylist(), inward.column("dst").to_pylist(), outward.column("dst").to_pylist()
-        self._know(region + src)
+        self._take(inward, outward, region)
+        self.known[[self.at[x] for x in region]] = True
+        return True
+
+    def _take(self, inward, outward, region: list | None) -> None:
+        """Keep edges, and the ranks at their ends; without a region, all of the graph's."""
         np = self.np
+        src, dst = inward.column("src").to_pylist(), inward.column("dst").to_pylist()
+        self._know(src + dst if region is None else region + src, region is None)
         index = lambda some: np.fromiter(map(self.at.__getitem__, some), int, len(some))
         self.src, self.dst = np.concatenate((self.src, index(src))), np.concatenate((self.dst, index(dst)))
         self.w = np.concatenate((self.w, inward.column("w").to_numpy()))
-        for x, y in zip(outward.column("src").to_pylist(), after, strict=True):
+        pairs = zip(src, dst, strict=True) if outward is None else zip(outward.column("src").to_pylist(), outward.column("dst").to_pylist(), strict=True)
+        for x, y in pairs:
             self.out.setdefault(x, []).append(y)
-        self.known[index(region)] = True
-        return True
 
     def _ready(self, ids: list) -> bool:
         """Have the edges of vertices at hand; of what lies ahead too, twice as far each time if it is little."""

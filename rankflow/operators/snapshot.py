@@ -68,10 +68,11 @@ def materialised(graph: Graph) -> Graph:
     Full steps join ranks and edges bucket by bucket, so that edges stay where they are.
     """
     plain = written(graph.edges_w if graph.patches else weighted(graph.edges), "edges")
-    k = buckets_of(graph.vertices.sparkSession, plain.count())
+    m = plain.count()
+    k = buckets_of(graph.vertices.sparkSession, m)
     edges_w, in_w = bucketed(plain, "out", "src", k), bucketed(plain, "in", "dst", k)
     discard(plain)
-    return Graph(bucketed(graph.vertices, "vertices", "id", k), edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w)
+    return Graph(bucketed(graph.vertices, "vertices", "id", k), edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w, m=m)
 
 
 def normalize(batch: Batch, edges: DataFrame, vertices: DataFrame | None = None) -> Batch:
@@ -115,7 +116,8 @@ def after(graph: Graph, batch: Batch) -> Graph:
     patch = written(weighted(kept.union(batch.ins.select("src", "dst")).distinct()), "patch")
     rest = lambda df: df.join(changed, "src", "left_anti").select("src", "dst", "w").union(patch)
     edges_w, in_w = rest(graph.edges_w), rest(graph.by_dst)
-    return Graph(graph.vertices, edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w, graph.patches + 1)
+    m = None if graph.m is None else graph.m + batch.ins.count() - batch.dels.count()
+    return Graph(graph.vertices, edges_w.select("src", "dst"), edges_w, graph.n, graph.dead_ends, in_w, graph.patches + 1, m)
 
 
 #: Keys up to which a filter names them, so that a layout's other buckets are not read.

@@ -266,6 +266,8 @@ def _measures(r: Registry) -> None:
     r.add("rank_mass", lambda s, d: measures.mass(ranks(s, d, 6)[1]).select(scaled("drift")), o.select(two, "SELECT CAST(round(abs(sum(rank) - 1) * 1e12) AS BIGINT) AS drift_p12 FROM a6"))
     r.add("residual_l1", lambda s, d: measures.residual(*ranks(s, d, 3)).select(scaled("residual"), scaled("certificate")), o.select(two, f"SELECT CAST(round(x * 1e12) AS BIGINT) AS residual_p12, CAST(round(x / {1 - 0.85} * 1e12) AS BIGINT) AS certificate_p12 FROM (SELECT sum(abs(x.rank - y.rank)) AS x FROM a3 x JOIN a4 y USING (id))"))
     r.add("topk_overlap", lambda s, d: measures.topk_overlap(*(ranks(s, d, k)[1].select("id", F.round("rank", 12).alias("rank")) for k in (1, 6)), 5), o.select(two, "SELECT count(*) / CAST(5 AS DOUBLE) AS overlap FROM (SELECT id FROM a1 ORDER BY round(rank, 12) DESC, id LIMIT 5) JOIN (SELECT id FROM a6 ORDER BY round(rank, 12) DESC, id LIMIT 5) USING (id)"))
+    order = "SELECT id, row_number() OVER (ORDER BY round(rank, 12) DESC, id) AS i FROM"
+    r.add("rank_correlation", lambda s, d: measures.rank_correlation(*(ranks(s, d, k)[1] for k in (1, 6))).select(F.round("correlation", 9).alias("correlation")), o.select(two, f"SELECT round(corr(CAST(x.i AS DOUBLE), CAST(y.i AS DOUBLE)), 9) AS correlation FROM ({order} a1) x JOIN ({order} a6) y USING (id)"))
     r.add("gini_rank", lambda s, d: measures.gini(ranks(s, d, 6)[1]).select(F.round(F.col("gini") * 1e9).cast("long").alias("gini_p9")), o.select(two, "SELECT CAST(round((2 * sum(i * rank) / (count(*) * sum(rank)) - (count(*) + 1) / CAST(count(*) AS DOUBLE)) * 1e9) AS BIGINT) AS gini_p9 FROM (SELECT rank, row_number() OVER (ORDER BY rank) AS i FROM a6)"))
 
     def share(s: SparkSession, d: str) -> DataFrame:

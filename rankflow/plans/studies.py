@@ -9,10 +9,12 @@ vertex updates tell more.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from datetime import datetime, timedelta
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from rankflow import graphs
 from rankflow.functions import measures
@@ -22,20 +24,34 @@ from rankflow.storage import discard, written
 
 GRAPHS = ("part_flow", "cust_supp", "order_chain", "gram_path", "page_links", "host_paths")
 STUDIED = GRAPHS[:4]
-FRACTIONS = (1e-4, 1e-3, 1e-2, 1e-1)
-#: Rounds of the reference run: 0.85 ** 150 is 3e-11.
-REFERENCE = 150
+#: Sizes of batches as shares of the edges; those that come to the same number of edges are drawn once.
+FRACTIONS = (1e-7, 1e-6, 1e-5, 1e-4, 1e-3, 1e-2, 1e-1)
+REFERENCE = 500
 
 
 def opened(spark: SparkSession, sf_dir: str, name: str, params: Params = Params()) -> tuple[Graph, DataFrame]:
     """A graph and its ranks, both as tables."""
     graph = snapshot.materialised(snapshot.prepare(graphs.BUILDERS[name](spark, sf_dir)))
-    return graph, methods.cold(graph, params.but(write_every=5)).ranks
+    return graph, methods.kept(methods.cold(graph, params.but(write_every=5)).ranks)
 
 
 def next_snapshot(graph: Graph, batch: Batch) -> tuple[Batch, Graph, int]:
     batch = Batch(written(batch.ins, "ins"), written(batch.dels, "dels"))
-    return batch, snapshot.materialised(snapshot.after(graph, batch)), batch.changed().count()
+    return batch, snapshot.after(graph, batch), batch.changed().count()
+
+
+def summary(rows: list[dict], *by: str) -> list[dict]:
+    """Geometric means of seconds and of vertex updates by method, and how many times frontier's they are."""
+    out = []
+    for key in sorted({tuple(str(r.get(b)) for b in by) for r in rows}):
+        some = [r for r in rows if tuple(str(r.get(b)) for b in by) == key]
+        means = {m: {w: math.exp(sum(math.log(max(r[w], 1e-3)) for r in some if r["method"] == m) / k) for w in ("seconds", "vertex_updates", "edges_read")} for m in methods.METHODS if (k := sum(r["method"] == m for r in some))}
+        for m, x in means.items():
+            row = dict(zip(by, key, strict=True)) | {"method": m} | {w: round(v, 3) for w, v in x.items()}
+            if "frontier" in means:
+                row |= {f"{w}_over_frontier": round(v / means["frontier"][w], 2) for w, v in x.items()}
+            out.append(row)
+    return out
 
 
 def row(workload: str, graph: str, result: RankResult, n: int, reference: DataFrame | None = None, **about) -> dict:
@@ -48,11 +64,13 @@ def row(workload: str, graph: str, result: RankResult, n: int, reference: DataFr
     return out
 
 
-def update_study(spark: SparkSession, sf_dir: str, kind: str = "ins", names: tuple[str, ...] = GRAPHS, fractions: tuple[float, ...] = FRACTIONS, repeats: int = 1, params: Params = Params()) -> Iterator[dict]:
+def update_study(spark: SparkSession, sf_dir: str, kind: str = "ins", names: tuple[str, ...] = GRAPHS, fractions: tuple[float, ...] = FRACTIONS, repeats: int = 3, params: Params = Params(write_every=5)) -> Iterator[dict]:
     """All methods on random batches of one kind, by size: runtime, work, error, share affected."""
     for name in names:
         graph, before = opened(spark, sf_dir, name, params)
-        for fraction, seed, drawn in batches.sweep(graph, kind, fractions, repeats):
+        m = graph.edges.count()
+        apart = tuple({max(1, round(f * m)): f for f in fractions}.values())
+        for fraction, seed, drawn in batches.sweep(graph, kind, apart, repeats):
             batch, new, size = next_snapshot(graph, drawn)
             exact = methods.reference(new, REFERENCE, params.but(write_every=10)).ranks
             for method in methods.METHODS:
@@ -93,19 +111,21 @@ def affected_study(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = GR
                 yield row("affected", name, methods.run(method, graph, new, batch, before, Params()), new.n, kind="ins", fraction=fraction, seed=seed, batch_edges=size)
 
 
-def temporal_study(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("handoff", "touch"), start: datetime = datetime(2024, 1, 25), days: int = 2) -> Iterator[dict]:
-    """Edges in the order of their times, with the default frontier tolerance and with looser ones."""
+def temporal_study(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("handoff", "touch", "cust_supp_timed"), cuts: int = 3, width: timedelta = timedelta(days=1)) -> Iterator[dict]:
+    """Edges in the order of their times, with the default frontier tolerance and with looser ones; by day, or by month where orders bring them."""
     for name in names:
-        timed = written(graphs.BUILDERS[name](spark, sf_dir), "timed")
+        timed = written(getattr(graphs, name)(spark, sf_dir), "timed")
+        step = timedelta(days=30) if name == "cust_supp_timed" else width
+        start = timed.agg(F.max("ts").cast("date").cast("timestamp_ntz")).first()[0] - (cuts - 1) * step
         vertices = snapshot.vertices_of(timed)
         graph = snapshot.materialised(snapshot.prepare(batches.base_before(timed, start), vertices))
-        before = methods.cold(graph, Params(write_every=5)).ranks
-        for day, drawn in enumerate(batches.by_time(timed, start, timedelta(days=1), days)):
+        before = methods.kept(methods.cold(graph, Params(write_every=5)).ranks)
+        for day, drawn in enumerate(batches.by_time(timed, start, step, cuts)):
             batch, new, size = next_snapshot(graph, snapshot.normalize(drawn, graph.edges))
             for params in (Params(), Params(tau_f_divisor=100), Params.temporal()):
                 for method in methods.METHODS if params == Params() else ("frontier",):
-                    yield row("temporal", name, methods.run(method, graph, new, batch, before, params), new.n, kind="time", fraction=None, seed=day, batch_edges=size)
-            graph, before = new, methods.warm(new, before, Params()).ranks
+                    yield row("temporal", name, methods.run(method, graph, new, batch, before, params.but(write_every=5)), new.n, kind="time", fraction=None, seed=day, batch_edges=size)
+            graph, before = new, methods.kept(methods.warm(new, before, Params(write_every=5)).ranks)
 
 
 def graph_table(spark: SparkSession, sf_dir: str) -> Iterator[dict]:
@@ -115,18 +135,28 @@ def graph_table(spark: SparkSession, sf_dir: str) -> Iterator[dict]:
         yield {"workload": "graphs", "graph": name} | measures.graph_stats(graph).first().asDict() | {"gini": round(measures.gini(ranks).first()[0], 4)}
 
 
+def race(spark: SparkSession, sf_dir: str, name: str = "order_chain", size: int = 40, kind: str = "mix", params: Params = Params(write_every=5), only: tuple[str, ...] = methods.METHODS) -> Iterator[dict]:
+    """The update alone, by each method, on one graph and batch whose tables are written before."""
+    graph, before = opened(spark, sf_dir, name, params)
+    batch, new, changed = next_snapshot(graph, batches.generate(kind, graph, size))
+    for method in only:
+        result, seconds = measures.timed(lambda m=method: methods.run(m, graph, new, batch, before, params))
+        yield row("race", name, result, new.n, kind=kind, batch_edges=changed) | {"seconds": round(seconds, 3)}
+
+
 def scaling_run(spark: SparkSession, sf_dir: str, name: str = "order_chain", fraction: float = 1e-4) -> Iterator[dict]:
-    """One frontier update in this session; start sessions with 1, 2, 4 threads (and, for weak scaling, fractions in step) and compare."""
-    graph, before = opened(spark, sf_dir, name)
+    """One frontier and one warm update in this session; ``bench.py scale`` starts sessions of 1, 2 and 4 threads and compares."""
+    graph, before = opened(spark, sf_dir, name, Params(tau=1e-8))
     batch, new, size = next_snapshot(graph, batches.generate("ins", graph, max(1, round(fraction * graph.edges.count()))))
-    methods.frontier(graph, new, batch, before, Params())  # warms up
-    result = methods.frontier(graph, new, batch, before, Params())
-    yield row("scaling", name, result, new.n, kind="ins", fraction=fraction, batch_edges=size) | {"threads": spark.sparkContext.defaultParallelism}
+    for method in ("warm", "frontier"):
+        for _ in range(2):  # the first one warms up
+            result = methods.run(method, graph, new, batch, before, Params(tau=1e-8, write_every=5))
+        yield row("scaling", name, result, new.n, kind="ins", fraction=fraction, batch_edges=size) | {"threads": spark.sparkContext.defaultParallelism}
 
 
 WORKLOADS = {
     "graphs": graph_table, "ins": lambda s, d: update_study(s, d, "ins"), "del": lambda s, d: update_study(s, d, "del"), "mix": lambda s, d: update_study(s, d, "mix"),
-    "discipline": discipline_study, "tolerance": tolerance_study, "affected": affected_study, "temporal": temporal_study, "scaling": scaling_run,
+    "discipline": discipline_study, "tolerance": tolerance_study, "affected": affected_study, "temporal": temporal_study, "scaling": scaling_run, "race": race,
 }
 
 
