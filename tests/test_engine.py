@@ -79,10 +79,10 @@ def chain(spark):
     """A chain of 30 with a few shortcuts, its ranks, and a batch near one end."""
     pairs = [(k, k + 1) for k in range(30)] + [(k + 1, k) for k in range(30)] + [(5, 9), (20, 24)]
     g = snapshot.materialised(snapshot.prepare(edges(spark, *pairs)))
-    before = methods.cold(g, Params(tau=1e-6, write_every=5)).ranks
+    before = methods.kept(methods.cold(g, Params(tau=1e-6, write_every=5)).ranks)
     batch = snapshot.normalize(Batch(edges(spark, (2, 7), (5, 9), (3, 3)), edges(spark, (1, 2), (28, 10))), g.edges)
     batch = Batch(written(batch.ins, "i"), written(batch.dels, "d"))
-    new = snapshot.materialised(snapshot.after(g, batch))
+    new = snapshot.after(g, batch)
     want = plain([p for p in pairs if p != (1, 2)] + [(2, 7)])
     return g, before, batch, new, want
 
@@ -131,7 +131,7 @@ def test_empty_batch_and_its_inverse(chain, spark):
     g, before, batch, new, _ = chain
     none = Batch(edges(spark), edges(spark))
     still = methods.frontier(g, g, none, before, QUICK)
-    assert rank_of(still.ranks) == rank_of(before) and still.iterations == 1 and still.vertex_updates == 0
+    assert rank_of(still.ranks) == rank_of(before) and still.converged and still.vertex_updates == 0
     there = methods.frontier(g, new, batch, before, QUICK)
     back = methods.frontier(new, g, Batch(batch.dels, batch.ins), there.ranks, QUICK)
     assert measures.l1(back.ranks, before).first()[0] < 1e-3
@@ -173,6 +173,39 @@ def test_maintain(chain, spark):
     assert [r.method for _, r in last] == ["frontier", "warm"] and last[1][0].n == len(want)
 
 
+@pytest.mark.parametrize("small", [0, 100, 60])
+def test_regimes_agree(chain, monkeypatch, small):
+    """On tables from the start, on arrays of a region, and from arrays to tables when marks outgrow them."""
+    g, before, batch, new, _ = chain
+    params = Params(max_iter=4, stop=False, tau_f=1e-9)
+    want = methods.frontier(g, new, batch, before, params)
+    monkeypatch.setattr(methods, "SMALL", small)
+    got = methods.frontier(g, new, batch, before, params)
+    a, b = rank_of(want.ranks), rank_of(got.ranks)
+    assert all(math.isclose(a[v], b[v], rel_tol=1e-12) for v in a) and ids(want.affected) == ids(got.affected)
+    assert [t["affected"] for t in want.telemetry] == [t["affected"] for t in got.telemetry]
+    assert [t["in_edges"] for t in want.telemetry] == [t["in_edges"] for t in got.telemetry]
+
+
+def test_a_round_reads_what_is_marked(chain):
+    g, before, batch, new, _ = chain
+    few = methods.frontier(g, new, batch, before, Params(max_iter=3, stop=False, tau_f=math.inf))
+    full = methods.warm(new, before, Params(max_iter=3, stop=False))
+    into = new.edges.join(few.affected.selectExpr("id AS dst"), "dst").count()
+    assert [t["in_edges"] for t in few.telemetry] == [into] * 3 and into < new.edges.count() / 2
+    assert few.edges_read < full.edges_read and few.vertex_updates < full.vertex_updates
+    assert set(ids(new.edges_w.select("src"))) == set(ids(new.by_dst.select("src")))
+
+
+def test_patches_are_the_whole_graph_weighed_anew(chain, spark):
+    g, _, batch, new, _ = chain
+    again = snapshot.prepare(snapshot.apply_batch(g.edges, batch), g.vertices)
+    rows = lambda df: {(r["src"], r["dst"]): round(r["w"], 12) for r in df.select("src", "dst", "w").collect()}
+    assert rows(new.edges_w) == rows(new.by_dst) == rows(again.edges_w) and new.m == new.edges.count()
+    many = snapshot.materialised(new)
+    assert rows(many.edges_w) == rows(again.edges_w) and many.patches == 0
+
+
 def test_positions_and_batches(spark):
     v = spark.createDataFrame([(f"v{k:04d}",) for k in range(777)], "id string")
     got = sorted(tuple(r) for r in batches.dense_positions(v, 7).collect())
@@ -181,12 +214,36 @@ def test_positions_and_batches(spark):
     for kind in ("ins", "del", "mix"):
         b = batches.generate(kind, g, 100)
         ins, dels = b.ins.count(), b.dels.count()
-        assert (ins > 0) == (kind != "del") and (dels > 0) == (kind != "ins") and 40 < ins + dels < 170
+        assert dels == {"ins": 0, "del": 100, "mix": 20}[kind] and ins <= {"ins": 100, "del": 0, "mix": 80}[kind] and ins >= 0.9 * {"ins": 100, "del": 0, "mix": 80}[kind]
         assert b.ins.join(g.edges, ["src", "dst"]).count() == 0 and b.dels.join(g.edges, ["src", "dst"], "left_anti").count() == 0
+    assert batches.generate("del", g, 1).dels.count() == 1
     with pytest.raises(ValueError, match="kind"):
         batches.generate("x", g, 1)
 
 
+def test_draws_are_even(spark):
+    positions = spark.range(1000).selectExpr("id AS pos", "id")
+    pairs = [tuple(r) for r in batches.random_inserts(positions, 1000, 20_000, 5).collect()]
+    assert len(pairs) > 0.97 * 20_000
+    for side in (0, 1):
+        count = [0] * 10
+        for p in pairs:
+            count[p[side] // 100] += 1
+        assert all(abs(c - len(pairs) / 10) < 5 * (len(pairs) / 10) ** 0.5 for c in count)
+    cells = [0] * 100
+    for x, y in pairs:
+        cells[x // 100 * 10 + y // 100] += 1
+    assert sum((c - len(pairs) / 100) ** 2 / (len(pairs) / 100) for c in cells) < 160  # chi-square of 99
+
+
+def test_summary_of_studies():
+    from rankflow.plans import studies
+
+    rows = [{"workload": "w", "method": m, "seconds": s, "vertex_updates": u, "edges_read": u} for m, s, u in (("cold", 4.0, 100), ("cold", 9.0, 400), ("frontier", 2.0, 10), ("frontier", 2.0, 40))]
+    got = {r["method"]: r for r in studies.summary(rows, "workload")}
+    assert got["cold"]["seconds"] == pytest.approx(6.0) and got["cold"]["seconds_over_frontier"] == 3.0 and got["cold"]["vertex_updates_over_frontier"] == 10.0
+
+
 def test_measures(spark):
     df = spark.createDataFrame([("a", "x", 1.0), ("a", "y", 4.0), ("b", "x", 10.0), ("b", "y", 10.0)], "method string, g string, seconds double")
     assert measures.speedup(df, "seconds", "a").first()["speedup"] == pytest.approx(5.0)
