@@ -34,9 +34,11 @@ def read_matrix_market(spark: SparkSession, path: str) -> DataFrame:
     head = lines.where("value LIKE '!%!%MatrixMarket%' ESCAPE '!'").first()
     if head is None or "coordinate" not in head[0]:
         raise ValueError("not a Matrix Market coordinate file")
-    sizes = lines.where("NOT startswith(value, '%') AND trim(value) <> ''").first()[0]
-    parts = F.split(F.trim("value"), r"\s+")
-    body = lines.where("NOT startswith(value, '%') AND trim(value) <> ''").where(F.col("value") != sizes)
+    # the line of sizes is told by its place: an entry may read the same
+    placed = spark.read.text(path).select("value", F.col("_metadata.file_path").alias("file"), F.monotonically_increasing_id().alias("place")).where("NOT startswith(value, '%') AND trim(value) <> ''")
+    first = placed.orderBy("file", "place").first()
+    sizes, parts = first["value"], F.split(F.trim("value"), r"\s+")
+    body = placed.where((F.col("place") != first["place"]) | (F.col("file") != first["file"]))
     edges = body.select(parts[0].cast("bigint").alias("src"), parts[1].cast("bigint").alias("dst"))
     if len(sizes.split()) == 3 and "symmetric" in head[0]:
         edges = edges.union(edges.select("dst", "src")).distinct()

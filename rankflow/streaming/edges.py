@@ -12,7 +12,7 @@ from pyspark.sql.types import StructType
 
 from rankflow.model import Batch, Params
 from rankflow.operators import methods, snapshot
-from rankflow.storage import shared_folder
+from rankflow.storage import discard, shared_folder, written
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -126,7 +126,7 @@ def drained(df: DataFrame, mode: str = "append", checkpoint: str | None = None)
 
 
 def maintain(edges: DataFrame, store: str, params: Params = Params()) -> StreamingQuery:
-    """Keep ranks fresh under a stream of inserted edges.
+    """Keep ranks fresh under a stream of edges; with a column ``op``, rows of ``-`` are deleted, those that expire as well.
 
     Version ``t`` of edges and ranks lies in ``store``; a micro-batch ``k`` makes
     version ``k + 1`` from version ``k``, by the frontier method.  The same batch
@@ -137,18 +137,24 @@ def maintain(edges: DataFrame, store: str, params: Params = Params()) -> Streami
 
     def update(rows: DataFrame, k: int) -> None:
         old_edges, ranks = snapshot.read_version(spark, f"{store}/edges", k), snapshot.read_version(spark, f"{store}/ranks", k)
-        fresh = snapshot.clean_edges(rows.select("src", "dst")).where("src <> dst")
+        rows = rows if "op" in rows.columns else rows.withColumn("op", F.lit("+"))
+        fresh = snapshot.clean_edges(rows.where("op <> '-'")).where("src <> dst")
+        gone = snapshot.clean_edges(rows.where("op = '-'"))
         known = ranks.select("id")
         added = snapshot.vertices_of(fresh).join(known, "id", "left_anti")
         n_old, n_add = known.count(), added.count()
         ranks = snapshot.rescale(ranks, n_old, n_old + n_add, added)
         vertices = known.union(added)
         old = snapshot.materialised(snapshot.prepare(old_edges, vertices))
-        batch = snapshot.normalize(Batch(fresh, fresh.limit(0)), old.edges)
-        new = snapshot.materialised(snapshot.after(old, batch))
-        result = methods.frontier(old, new, batch, ranks, params)
+        drawn = snapshot.normalize(Batch(fresh, gone), old.edges)
+        batch = Batch(written(drawn.ins, "ins"), written(drawn.dels, "dels"))
+        new = snapshot.after(old, batch)
+        kept = methods.kept(ranks)
+        result = methods.frontier(old, new, batch, kept, params)
         snapshot.write_version(new.edges, f"{store}/edges", k + 1)
         snapshot.write_version(result.ranks, f"{store}/ranks", k + 1)
+        discard(result.ranks, result.affected, kept, batch.ins, batch.dels, old.vertices, old.edges_w, old.in_w)
+
 
     return edges.writeStream.option("checkpointLocation", f"{store}/state").foreachBatch(update).trigger(availableNow=True).start()
 

@@ -258,6 +258,8 @@ def test_sources(spark, tmp_path):
     assert {tuple(r) for r in read_edge_list(spark, str(tmp_path / "e.tsv")).collect()} == {(1, 2), (2, 3)}
     (tmp_path / "m.mtx").write_text("%%MatrixMarket matrix coordinate pattern symmetric\n% c\n3 3 2\n1 2\n3 2\n")
     assert {tuple(r) for r in read_matrix_market(spark, str(tmp_path / "m.mtx")).collect()} == {(1, 2), (2, 1), (3, 2), (2, 3)}
+    (tmp_path / "w.mtx").write_text("%%MatrixMarket matrix coordinate real general\n% c\n3 3 2\n3 3 2\n1 2 5\n")
+    assert {tuple(r) for r in read_matrix_market(spark, str(tmp_path / "w.mtx")).collect()} == {(3, 3), (1, 2)}
     assert {tuple(r) for r in synthetic(spark, "star", 4).collect()} == {(1, 0), (2, 0), (3, 0)}
     assert synthetic(spark, "skewed", 50, m=300).count() == 300
 
