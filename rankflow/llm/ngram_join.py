@@ -40,8 +40,9 @@ from rankflow.llm.common import WS, discard, held, packed, require, unpacked, wr
 SHINGLE = 3
 #: 100 * overlap >= 90 * union.
 THRESHOLD = (90, 100)
-#: Documents from which frequent shingles are learned; only the order of shingles depends on them, never a result.
-SAMPLE = 24_000
+#: Documents from which frequent shingles are learned: one in SHARE, and SAMPLE at least.  Only the order of shingles
+#: depends on them, never a result; the share keeps what counts as frequent alike, however many documents there are.
+SAMPLE, SHARE = 24_000, 32
 #: Frequent shingles that go last, at most; sent to the workers.
 FREQUENT = 100_000
 #: Rows in a block of a column.
@@ -123,7 +124,7 @@ def _needed(a: Column, b: Column, num: int, den: int) -> Column:
 def frequent(docs: DataFrame, n: int) -> dict[int, int]:
     """Shingles that occur in several of the sampled documents, with how many: the most frequent, in bounded number."""
     total = docs.count()
-    share = min(1 << 20, (SAMPLE << 20) // max(1, total) + 1)
+    share = min(1 << 20, (max(SAMPLE, total // SHARE) << 20) // max(1, total) + 1)
     sample = docs.where(F.pmod(F.xxhash64("id", F.lit(5)), F.lit(1 << 20)) < share)
 
     def counted(batches: Iterator) -> Iterator:
