@@ -155,7 +155,6 @@ def maintain(edges: DataFrame, store: str, params: Params = Params()) -> Streami
         snapshot.write_version(result.ranks, f"{store}/ranks", k + 1)
         discard(result.ranks, result.affected, kept, batch.ins, batch.dels, old.vertices, old.edges_w, old.in_w)
 
-
     return edges.writeStream.option("checkpointLocation", f"{store}/state").foreachBatch(update).trigger(availableNow=True).start()
 
 

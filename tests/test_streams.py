@@ -34,3 +34,26 @@ def test_maintained_ranks_equal_a_recomputation(spark, sf_dir, tmp_path):
     exact = methods.cold(snapshot.prepare(named(events)), Params(write_every=10)).ranks
     assert ranks.count() == exact.count()
     assert measures.l1(ranks, exact).first()[0] < 1e-3 and math.isclose(ranks.agg(F.sum("rank")).first()[0], 1, abs_tol=1e-6)
+
+
+def test_maintained_ranks_follow_deletes(spark, tmp_path):
+    def named(pairs):
+        return spark.createDataFrame([(f"v{a}", f"v{b}") for a, b in pairs], "src string, dst string")
+
+    base = {(k, (k + s) % 30) for k in range(30) for s in (1, 7)}
+    steps = [
+        ([(0, 15), (3, 31)], [(0, 7), (5, 6), (9, 20)]),  # a new vertex; one delete of an edge that isn't there
+        ([(0, 7)], [(0, 15), (12, 13)]),  # an edge comes back, an inserted one goes
+    ]
+    store, late = str(tmp_path / "store"), str(tmp_path / "late")
+    st.start_store(spark, named(sorted(base)), store)
+    for ins, dels in steps:
+        rows = named(ins).withColumn("op", F.lit("+")).union(named(dels).withColumn("op", F.lit("-")))
+        rows.coalesce(1).write.mode("append").parquet(late)
+        stream = spark.readStream.schema("src string, dst string, op string").parquet(late)
+        st.maintain(stream, store, Params(tau=1e-9)).awaitTermination()
+        base = (base | set(ins)) - set(dels)
+    ranks = snapshot.read_version(spark, f"{store}/ranks", 2)
+    exact = methods.cold(snapshot.prepare(named(sorted(base))), Params(write_every=10)).ranks
+    assert ranks.count() == exact.count()
+    assert measures.l1(ranks, exact).first()[0] < 1e-6
