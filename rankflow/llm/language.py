@@ -103,7 +103,8 @@ def learn(docs: DataFrame, per_language: int = SAMPLE_PER_LANGUAGE, id_col: str
     place = F.pmod(F.xxhash64("id"), F.lit(1 << 20))
     counts = docs.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
     shares = counts.select(F.col("lang").alias("known"), F.greatest(F.lit(1), F.least(F.lit(1 << 20), F.floor(F.lit(per_language << 20) / F.col("n")))).alias("share"))
-    sample = docs.join(shares, F.col("lang") == F.col("known")).where(place < F.col("share")).select("lang", "text")
+    # a row for each language, of which the profiles hold 8 KB each; so no text is moved
+    sample = docs.join(F.broadcast(shares), F.col("lang") == F.col("known")).where(place < F.col("share")).select("lang", "text")
 
     def sums(batches: Iterator) -> Iterator:
         import pyarrow as pa
