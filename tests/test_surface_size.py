@@ -1,5 +1,10 @@
 """Queries of the relational surface on tables beyond the smallest."""
 
+import random
+
+import duckdb
+
+from rankflow import graphs
 from rankflow.plans.queries import registry
 
 REGISTRY = registry()
@@ -11,3 +16,16 @@ def test_recursion_beyond_a_million_rows(spark, tmp_path):
     walks = REGISTRY.queries["recursion_depth"](spark, str(tmp_path))
     found = walks.selectExpr("count(*)", "min(depth)", "max(depth)", "sum(total)").first()
     assert tuple(found) == (n, 40, 40, sum(p >> k for p in range(first, first + n) for k in range(41)))
+
+
+def test_nearest_of_blocks_copies_and_odd_vectors(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(graphs, "VECTORS", 6)
+    draw = random.Random(4)
+    rows = [(k, 1, [float(draw.randint(-3, 3)) for _ in range(3)]) for k in range(60)]  # many at the same angle
+    rows += [(k, 2, [1.0, 2.0, 3.0]) for k in range(100, 120)] + [(k, 2, [1.0, 2.0, k / 100]) for k in range(120, 125)]
+    rows += [(200, 3, [1.0, 0.0, 0.0]), (201, 3, None), (202, 3, [1.0, 1.0, 0.0]), (203, 3, None), (204, 4, [1.0, 1.0, 1.0]), (205, 5, [0.0, 0.0, 0.0]), (206, 5, [1.0, 1.0, 1.0]), (207, None, [1.0, 1.0, 1.0])]
+    spark.createDataFrame(rows, "vec_id bigint, label int, embedding array<float>").repartition(3).write.parquet(f"{tmp_path}/embeddings.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+    want = sorted(con.sql(REGISTRY.sql["graph_near_vecs"]).fetchall())
+    assert sorted(map(tuple, REGISTRY.queries["graph_near_vecs"](spark, str(tmp_path)).collect())) == want
