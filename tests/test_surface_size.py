@@ -3,6 +3,7 @@
 import random
 
 import duckdb
+import pytest
 
 from rankflow import graphs
 from rankflow.plans.queries import registry
@@ -29,3 +30,18 @@ def test_nearest_of_blocks_copies_and_odd_vectors(spark, tmp_path, monkeypatch):
     con.sql(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
     want = sorted(con.sql(REGISTRY.sql["graph_near_vecs"]).fetchall())
     assert sorted(map(tuple, REGISTRY.queries["graph_near_vecs"](spark, str(tmp_path)).collect())) == want
+
+
+@pytest.mark.parametrize("name", ["graph_walkthrough"])
+def test_graphs_by_rule_are_over_the_customers(spark, tmp_path, name):
+    keys = [*range(40), 100, 101, 116]
+    spark.createDataFrame([(k,) for k in keys], "c_custkey bigint").repartition(3).write.parquet(f"{tmp_path}/customer.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW customer AS SELECT * FROM '{tmp_path}/customer.parquet/*.parquet'")
+    got = sorted(map(tuple, REGISTRY.queries[name](spark, str(tmp_path)).select("src", "dst").collect()))
+    assert got == sorted(con.sql(f"SELECT src, dst FROM ({REGISTRY.sql[name]})").fetchall())
+    if name == "synthetic_ring":
+        assert got == sorted(zip(keys, [*keys[1:], keys[0]], strict=True))
+    else:
+        steps = [tuple(int(x) for x in e.split("-")) for e in graphs.WALK.split()]
+        assert got == sorted((c + a - 1, c + b - 1) for c in range(0, 128, 16) for a, b in steps if {c + a - 1, c + b - 1} <= set(keys))
