@@ -32,7 +32,7 @@ def test_nearest_of_blocks_copies_and_odd_vectors(spark, tmp_path, monkeypatch):
     assert sorted(map(tuple, REGISTRY.queries["graph_near_vecs"](spark, str(tmp_path)).collect())) == want
 
 
-@pytest.mark.parametrize("name", ["graph_walkthrough"])
+@pytest.mark.parametrize("name", ["graph_walkthrough", "synthetic_ring"])
 def test_graphs_by_rule_are_over_the_customers(spark, tmp_path, name):
     keys = [*range(40), 100, 101, 116]
     spark.createDataFrame([(k,) for k in keys], "c_custkey bigint").repartition(3).write.parquet(f"{tmp_path}/customer.parquet")
