@@ -31,6 +31,8 @@ from rankflow.llm.common import require, with_fields
 
 #: Fixed patterns; the match of a kind counts if the group named here is long enough.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
+#: One of these is in each of its matches, in small letters.
+STEMS = (b"passw", b"secret", b"token", b"api")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
 KINDS = ("assign", "access", "hex", "crf")
@@ -40,7 +42,7 @@ PART = re.compile(r"[^\W\d_]+")
 #: Windows around a base match, and others, that the field is trained on at most; texts among which they are looked for; characters on each side.
 SAMPLE, CANDIDATES, REACH = 300, 40_000, 150
 #: Distinct tokens that a worker keeps, and tokens of a text that it takes at a time.
-MEMORY, SLICE = 1 << 16, 1 << 14
+MEMORY, SLICE = 1 << 18, 1 << 14
 O, B, I = range(3)
 #: Context: the name of a place and how far back it is; those before the token and the one after it.
 PLACES = {"before1": 1, "before2": 2, "before3": 3, "before4": 4, "after": -1}
@@ -52,7 +54,8 @@ SPANS = "array<struct<kind:string,start:int,end:int>>"
 
 def base_spans(text: str) -> list[tuple[str, int, int]]:
     """Matches of the base patterns, by start and then kind; positions in code points."""
-    out = [("assign", m.start(), m.end()) for m in ASSIGN.finditer(text) if len(m[2]) >= 6]
+    small = text.encode("utf-8", "surrogatepass").lower()  # A-Z alone, as in the pattern
+    out = [("assign", m.start(), m.end()) for m in ASSIGN.finditer(text) if len(m[2]) >= 6] if any(k in small for k in STEMS) else []
     if "AKIA" in text:
         out += [("access", m.start(), m.end()) for m in ACCESS.finditer(text) if len(m[0]) >= 20]
     out += [("hex", m.start(), m.end()) for m in HEX.finditer(text)]
@@ -74,11 +77,13 @@ def _signs(text: str) -> int:
 
 def shape_class(s: str) -> int:
     """Sign, small word, other word, digits with signs, letters with digits, letters with signs."""
+    if s.isalpha():
+        return 1 if s.islower() else 2
     digits, letters = any(map(str.isdigit, s)), any(map(str.isalpha, s))
     if not digits and not letters:
         return 0
     if not digits:
-        return (1 if s.islower() else 2) if s.isalpha() else 5
+        return 5
     return 4 if letters else 3
 
 
@@ -185,11 +190,16 @@ class Scorer:
     def clear(self) -> None:
         np = self.np
         self.rows: dict[str, int] = {}
+        #: What tokens are worth by themselves, and where that of each is: short words of one shape share it.
         self.own = np.zeros((MEMORY + 1, 3))
+        self.mine = np.zeros(MEMORY + 1, np.int32)
+        self.shapes: dict[tuple, int] = {}
+        self.owned = 0
         self.cls = np.zeros(MEMORY + 1, np.int8)
         self.near = np.zeros(MEMORY + 1, np.int32)
         self.table = np.zeros((256, len(PLACES), CLASSES, 3))
         self.filled = 1
+        self.around: dict[tuple[str, ...], int] = {(): 0}
 
     def _worth(self, names: list[str]):
         found = [w for w in map(self.field.weights.get, names) if w is not None]
@@ -203,19 +213,46 @@ class Scorer:
             return self.plain[key]
         return self._worth(own_features(s))
 
-    def row(self, s: str) -> int:
-        k = self.rows.get(s)
+    def _near(self, known: tuple[str, ...]) -> int:
+        """Where the worth of a neighbour with these known parts is: neighbours with the same share a row."""
+        k = self.around.get(known)
         if k is None:
-            k = self.rows[s] = len(self.rows)
-            self.own[k], self.cls[k] = self._own(s), shape_class(s)
-            around = [w for w in map(self.parts.get, parts(s)) if w is not None]
-            if around:
-                if self.filled == len(self.table):
-                    self.table = self.np.concatenate((self.table, self.np.zeros_like(self.table)))
-                self.table[self.filled], self.near[k] = sum(around), self.filled
-                self.filled += 1
+            if self.filled == len(self.table):
+                self.table = self.np.concatenate((self.table, self.np.zeros_like(self.table)))
+            k = self.around[known] = self.filled
+            self.table[k] = sum(map(self.parts.get, known))
+            self.filled += 1
         return k
 
+    def take(self, some: list[str]) -> None:
+        """Put tokens into the tables that aren't there."""
+        rows, known, plain = self.rows, self.parts, self.shapes
+        first, mine, cls, near = len(rows), [], [], []
+        for s in some:
+            if s in rows:
+                continue
+            rows[s] = len(rows)
+            if len(s) < 12 and s.isalpha():
+                lower = s.islower()
+                key = (len(s), lower, s.isascii()) if lower else (len(s), s.isupper(), s.istitle(), s.isascii())
+                k = plain.get(key)
+                if k is None:
+                    k = plain[key] = self.owned
+                    self.own[k] = self._own(s)
+                    self.owned += 1
+                part = s.lower()
+                mine.append(k)
+                cls.append(1 if lower else 2)
+                near.append(self._near((part,)) if part in known else 0)
+            else:
+                self.own[self.owned] = self._own(s)
+                mine.append(self.owned)
+                self.owned += 1
+                cls.append(shape_class(s))
+                near.append(self._near(tuple(sorted(p for p in parts(s) if p in known))))
+        at = slice(first, len(rows))
+        self.mine[at], self.cls[at], self.near[at] = mine, cls, near
+
     def scores(self, tokens: list[str], about: list[str]):
         """What each tag is worth at each token, a row each."""
         np = self.np
@@ -226,14 +263,19 @@ class Scorer:
             some = padded[at : at + SLICE + back + ahead]
             if len(self.rows) + len(some) > MEMORY:
                 self.clear()
-            get, row = self.rows.get, self.row
+            get = self.rows.get
             ids = np.array([get(s, -1) for s in some], np.int32)
-            for k in np.flatnonzero(ids < 0).tolist():
-                ids[k] = row(some[k])
+            new = np.flatnonzero(ids < 0).tolist()
+            if new:
+                self.take([some[k] for k in new])
+                ids[new] = [self.rows[some[k]] for k in new]
             n = len(some) - back - ahead
             again = (ids[back : back + n] == ids[back - 1 : back - 1 + n]) | (ids[back : back + n] == ids[back - 2 : back - 2 + n])
+            if at == 0:  # nothing is before the first token
+                again[0] = False
+                again[1:2] = ids[back + 1 : back + n][:1] == ids[back]
             mine, near = ids[back : back + n], self.near[ids]
-            cls, total = self.cls[mine], self.own[mine] + file
+            cls, total = self.cls[mine], self.own[self.mine[mine]] + file
             for k, steps in enumerate(PLACES.values()):
                 total += self.table[near[back - steps : back - steps + n], k, cls]
             total[again] += self.again
